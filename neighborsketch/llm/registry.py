@@ -2,13 +2,14 @@
 
 from __future__ import annotations
 
-from . import byte_bpe, chat_format, exact_dedup, language_id, quality, sharding
+from . import byte_bpe, chat_format, exact_dedup, language_id, quality, secret_scan, sharding
 
 QUERIES = {
     "op1_exact_dedup": exact_dedup.op1_exact_dedup,
     "op2_chat_format": chat_format.op2_chat_format,
     "op3_byte_bpe": byte_bpe.op3_byte_bpe,
     "op4_quality": quality.op4_quality,
+    "op5_secret_scan": secret_scan.op5_secret_scan,
     "op7_language_id": language_id.op7_language_id,
     "op10_sharding": sharding.op10_sharding,
 }
