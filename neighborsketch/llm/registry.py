@@ -2,7 +2,7 @@
 
 from __future__ import annotations
 
-from . import byte_bpe, chat_format, exact_dedup, language_id, quality, secret_scan, sharding
+from . import byte_bpe, chat_format, exact_dedup, language_id, line_dedup, quality, secret_scan, sharding
 
 QUERIES = {
     "op1_exact_dedup": exact_dedup.op1_exact_dedup,
@@ -10,6 +10,7 @@ QUERIES = {
     "op3_byte_bpe": byte_bpe.op3_byte_bpe,
     "op4_quality": quality.op4_quality,
     "op5_secret_scan": secret_scan.op5_secret_scan,
+    "op6_line_dedup": line_dedup.op6_line_dedup,
     "op7_language_id": language_id.op7_language_id,
     "op10_sharding": sharding.op10_sharding,
 }
@@ -17,4 +18,5 @@ QUERIES = {
 ORACLES = {
     "op1_exact_dedup": exact_dedup.ORACLE,
     "op2_chat_format": chat_format.ORACLE,
+    "op6_line_dedup": line_dedup.ORACLE,
 }
