@@ -7,20 +7,25 @@ result is each text's connected component. No link between different sets is los
 
 1. *Classes.* Equal sets are one class, found by a 128-bit set hash in salted
    steps; the class's smallest id stands for it from here on.
-2. *Neighbourhoods.* In any order of all shingles that texts share, linked texts
-   have a common shingle among the first ``n - ceil(t n) + 1`` of their ``n``
-   (prefix filter). The order puts shingles that repeat within a chunk of the
-   corpus last, so that common passages don't gather unrelated texts; it is an
-   order only and drops nothing. Texts with a common prefix shingle are tied to
-   the smallest id among them, first within a chunk and then globally, which costs
-   one row per text and shingle at most, however hot the shingle. The connected
+2. *Neighbourhoods.* Linked sets of at most ``U`` shingles differ in at most ``d =
+   floor((1 - t) / (1 + t) 2 U)`` of them. So if shingles are dealt by hash into ``m >
+   d`` parts, linked sets agree exactly in ``m - d`` parts at least, and a hash of
+   part, content and size class is a key that they have in common. Sizes are cut
+   into classes of ratio ``1 / t``; a text makes keys for its own class and the next,
+   so texts of neighbouring classes meet. Shingles that repeat within chunks of the
+   corpus (common phrases and passages) are left out of the parts, which can only
+   take differences away, and parts with few shingles make no key. A text whose
+   number of such small parts would reach ``m - d`` makes the keys of all its parts,
+   with all its shingles, as well; two such texts meet there. Texts with a common
+   key are tied to the smallest id among them, first within a chunk and then
+   globally: one row per text and key at most, however hot the key. The connected
    parts of these ties are the neighbourhoods.
 3. *Signature trees.* A neighbourhood is dealt into chunks of about ``CHUNK``
    texts. Each chunk gets a tree whose nodes hold the OR (and the AND) of their
    texts' shingle bitmaps and the range of their sizes; a dual traversal drops a
    pair of nodes when the largest overlap that bitmaps and sizes allow is too
-   small, or when all their texts are already connected; pairs of leaves are
-   compared exactly.
+   small, or when all their texts are already connected; pairs of leaves that
+   are left are compared exactly.
 4. *Large neighbourhoods.* One text of each component found goes on to the next
    round of chunks until one chunk is left. Where several components remain, all
    texts outside the largest are traversed against all texts of the neighbourhood,
@@ -36,6 +41,8 @@ whole; other columns are not read.
 
 from __future__ import annotations
 
+import math
+from bisect import bisect_right
 from collections.abc import Iterable, Iterator
 
 import numpy as np
@@ -48,12 +55,13 @@ from .byte_bpe import _rows
 from .common import row_salt, stored, table
 
 WORDS, NUM, DEN = 3, 9, 10
-CHUNK = 128
+CHUNK = 512
 BITS = 1024
-FANOUT = 8
+LEAF, FANOUT = 32, 4
+MATRIX_ENTRIES = 16_000_000
 SALTS = 32
-LOCAL_REPEATS, REPEATS, ORDER_ROWS = 3, 8, 200_000
-CHUNK_SHINGLES = 2_000_000
+LOCAL_REPEATS, REPEATS, COMMON_SHINGLES = 3, 8, 200_000
+CHUNK_SHINGLES = 1_500_000
 BROADCAST_IDS = 200_000
 
 _MASK = (1 << 64) - 1
@@ -133,8 +141,69 @@ def set_hash(own: np.ndarray) -> tuple[int, int]:
     return int(a.astype(np.int64)), int(b.astype(np.int64))
 
 
-def prefix_length(n: int, num: int, den: int) -> int:
-    return n - -(-num * n // den) + 1
+class Parts:
+    """How sets are dealt into parts, by size class."""
+
+    def __init__(self, num: int, den: int):
+        self.num, self.den = num, den
+        self.bounds = [1]
+        self.known: dict[int, tuple[int, int, int]] = {}
+
+    def size_class(self, n: int) -> int:
+        """Sets that link are in the same class or in neighbouring ones."""
+        while self.bounds[-1] <= n:
+            self.bounds.append(self.bounds[-1] * self.den // self.num + 1)
+        return bisect_right(self.bounds, n) - 1
+
+    def deal(self, tag: int) -> tuple[int, int, int]:
+        """For sets of the classes tag - 1 and tag: the most differences d, the number
+        of parts m, and the least number of shingles of a part that makes a key."""
+        if tag not in self.known:
+            while len(self.bounds) < tag + 2:
+                self.bounds.append(self.bounds[-1] * self.den // self.num + 1)
+            largest, smallest = self.bounds[tag + 1] - 1, self.bounds[max(0, tag - 1)]
+            d = (self.den - self.num) * 2 * largest // (self.den + self.num)
+            self.known[tag] = self._parts(d, smallest)
+        return self.known[tag]
+
+    @staticmethod
+    def _parts(d: int, smallest: int) -> tuple[int, int, int]:
+        for least in (3, 2, 1):
+            m = d + 2
+            while m <= smallest:
+                mean = smallest / m
+                small = m * sum(math.exp(-mean) * mean**i / math.factorial(i) for i in range(least))
+                if small + 2 * math.sqrt(small) + 1 <= m - d - 1:
+                    return d, m, least
+                m += 1 + m // 50
+        return d, d + 1, 1
+
+    def keys(self, own: np.ndarray, common: np.ndarray) -> list[np.ndarray]:
+        """The keys of a set. common: which of its shingles are common ones."""
+        out = []
+        i = self.size_class(len(own))
+        rare = own[~common] if common.any() else own
+        for tag in (i, i + 1):
+            d, m, least = self.deal(tag)
+            if d == 0:
+                continue  # only equal sets link, and these are one class
+            size, sums = _part_sums(rare, m)
+            big = np.flatnonzero(size >= least)
+            base = np.uint64(2 * tag * int(_B) & _MASK)
+            out.append(mix(sums[big] + (big.astype(np.uint64) + np.uint64(1)) * _C + base))
+            if m - len(big) >= m - d:
+                size, sums = _part_sums(own, m)
+                out.append(mix(sums + np.arange(1, m + 1, dtype=np.uint64) * _C + base + _B))
+        return out
+
+
+def _part_sums(own: np.ndarray, m: int) -> tuple[np.ndarray, np.ndarray]:
+    """Each part's number of shingles and a hash of its content."""
+    part = (mix(own + _C) % np.uint64(m)).astype(np.int64)
+    value = mix(own ^ _C)
+    low = np.bincount(part, (value & np.uint64(0xFFFFFFFF)).astype(np.float64), m)  # exact: below 2**53
+    high = np.bincount(part, (value >> np.uint64(32)).astype(np.float64), m)
+    return np.bincount(part, minlength=m), mix(low.astype(np.uint64)) + _A * high.astype(np.uint64)
 
 
 def links(a: np.ndarray, b: np.ndarray, num: int, den: int) -> bool:
@@ -145,24 +214,30 @@ def links(a: np.ndarray, b: np.ndarray, num: int, den: int) -> bool:
 
 
 class SignatureTree:
-    """Texts as leaves in an order that keeps like ones together; each node is a
-    range of leaves with its OR and AND bitmaps and its sizes' range."""
+    """Texts in an order that keeps like ones together. A leaf is a range of LEAF
+    texts and an inner node one of FANOUT nodes; each has the OR and the AND of its
+    texts' bitmaps and the range of their sizes."""
 
     def __init__(self, sets: list[np.ndarray]):
-        n = len(sets)
-        bits = np.zeros((n, BITS), bool)
+        self.n = len(sets)
+        bits = np.zeros((self.n, BITS), bool)
         for i, s in enumerate(sets):
             bits[i, (s % np.uint64(BITS)).astype(np.int64)] = True
         sizes = np.array([len(s) for s in sets])
-        self.levels = [(np.packbits(bits, 1), np.packbits(bits, 1), sizes, sizes)]
-        while len(self.levels[-1][0]) > 1:
-            union, common, low, high = self.levels[-1]
-            at = np.arange(0, len(union), FANOUT)
-            self.levels.append((np.bitwise_or.reduceat(union, at, 0), np.bitwise_and.reduceat(common, at, 0), np.minimum.reduceat(low, at), np.maximum.reduceat(high, at)))
-        self.n = n
-
-    def leaves(self, level: int, node: int) -> slice:
-        width = FANOUT**level
+        level = (np.packbits(bits, 1), np.packbits(bits, 1), sizes, sizes)
+        self.levels = []
+        width = LEAF
+        while True:
+            union, common, low, high = level
+            at = np.arange(0, len(union), width)
+            level = (np.bitwise_or.reduceat(union, at, 0), np.bitwise_and.reduceat(common, at, 0), np.minimum.reduceat(low, at), np.maximum.reduceat(high, at))
+            self.levels.append(level)
+            width = FANOUT
+            if len(at) == 1:
+                break
+
+    def texts(self, level: int, node: int) -> slice:
+        width = LEAF * FANOUT**level
         return slice(node * width, min(self.n, (node + 1) * width))
 
     def children(self, level: int, node: int) -> range:
@@ -181,55 +256,68 @@ def may_link(x: SignatureTree, lx: int, i: int, y: SignatureTree, ly: int, j: in
     return (num + den) * most >= num * (lowx + lowy)
 
 
-class Groups:
-    """Union-find whose roots are smallest indexes."""
-
-    def __init__(self, n: int):
-        self.up = np.arange(n)
-
-    def find(self, i: int) -> int:
-        while self.up[i] != i:
-            self.up[i] = self.up[self.up[i]]
-            i = self.up[i]
-        return int(i)
-
-    def join(self, i: int, j: int) -> None:
-        a, b = self.find(i), self.find(j)
-        if a != b:
-            self.up[max(a, b)] = min(a, b)
-
-
 def tree_order(sets: list[np.ndarray]) -> list[int]:
     """Like texts side by side: by their smallest hashes."""
     return sorted(range(len(sets)), key=lambda i: (sets[i][:3].tolist(), len(sets[i])))
 
 
-def traverse(left: list[int], right: list[int] | None, sets: list[np.ndarray], groups: Groups, num: int, den: int) -> None:
-    """Joins the groups of all linked pairs, of left with itself or with right."""
-    left = [left[i] for i in tree_order([sets[a] for a in left])]
-    x = SignatureTree([sets[a] for a in left])
+class Overlaps:
+    """Exact overlaps of ranges of texts: products of the incidence matrix over the
+    shingles that several texts have, or pair by pair where that were too large."""
+
+    def __init__(self, sets: list[np.ndarray], num: int, den: int):
+        self.sets, self.num, self.den = sets, num, den
+        self.sizes = np.array([len(s) for s in sets])
+        owner = np.repeat(np.arange(len(sets)), self.sizes)
+        _, place, counts = np.unique(np.concatenate(sets), return_inverse=True, return_counts=True)
+        shared = counts >= 2
+        column = np.cumsum(shared) - 1
+        width = int(shared.sum())
+        self.matrix = None
+        if width * len(sets) <= MATRIX_ENTRIES:
+            keep = shared[place]
+            self.matrix = np.zeros((len(sets), width), np.float32)
+            self.matrix[owner[keep], column[place[keep]]] = 1
+
+    def linked(self, a: np.ndarray, b: np.ndarray) -> np.ndarray:
+        """(len(a), len(b)): which texts link."""
+        if self.matrix is None:
+            return np.array([[links(self.sets[i], self.sets[j], self.num, self.den) for j in b] for i in a])
+        inter = np.rint(self.matrix[a] @ self.matrix[b].T).astype(np.int64)
+        union = self.sizes[a][:, None] + self.sizes[b][None, :] - inter
+        return self.den * inter >= self.num * union
+
+
+def traverse(left: list[int], right: list[int] | None, sets: list[np.ndarray], label: np.ndarray, num: int, den: int) -> None:
+    """Gives all texts that links connect one label, for the links of left with
+    itself or with right."""
+    exact = Overlaps(sets, num, den)
+    left = np.array(left)[tree_order([sets[a] for a in left])]
+    x = y = SignatureTree([sets[a] for a in left])
     if right is None:
-        right, y = left, x
+        right = left
     else:
-        right = [right[i] for i in tree_order([sets[a] for a in right])]
+        right = np.array(right)[tree_order([sets[a] for a in right])]
         y = SignatureTree([sets[a] for a in right])
     stack = [(len(x.levels) - 1, 0, len(y.levels) - 1, 0)]
     while stack:
         lx, i, ly, j = stack.pop()
-        if lx == 0 and ly == 0:
-            a, b = left[i], right[j]
-            if a != b and groups.find(a) != groups.find(b) and links(sets[a], sets[b], num, den):
-                groups.join(a, b)
+        a, b = left[x.texts(lx, i)], right[y.texts(ly, j)]
+        first = label[a[0]]
+        if (label[a] == first).all() and (label[b] == first).all():
             continue
-        own = {groups.find(a) for a in left[x.leaves(lx, i)]}
-        if len(own) == 1 and own == {groups.find(b) for b in right[y.leaves(ly, j)]}:
+        same = x is y and lx == ly and i == j
+        if not same and not may_link(x, lx, i, y, ly, j, num, den):
             continue
-        if not (x is y and lx == ly and i == j) and not may_link(x, lx, i, y, ly, j, num, den):
-            continue
-        if lx >= ly:
+        if lx == 0 and ly == 0:
+            found = exact.linked(a, b)
+            while len(at := np.argwhere(found & (label[a][:, None] != label[b][None, :]))):
+                one, two = sorted((label[a[at[0, 0]]], label[b[at[0, 1]]]))
+                label[label == two] = one
+        elif lx >= ly:
             for c in x.children(lx, i):
                 if lx == ly:
-                    stack += [(lx - 1, c, ly - 1, d) for d in y.children(ly, j) if x is not y or d >= c]
+                    stack += [(lx - 1, c, ly - 1, d) for d in y.children(ly, j) if not same or d >= c]
                 else:
                     stack.append((lx - 1, c, ly, j))
         else:
@@ -283,11 +371,11 @@ def _survey(texts: DataFrame, k: int) -> DataFrame:
     return texts.mapInArrow(run, _SURVEY)
 
 
-def _prefix_rows(texts: DataFrame, k: int, num: int, den: int, late) -> DataFrame:
-    """``key, doc_id``: for every chunk, one row per prefix shingle with the
-    smallest id that has it, and two rows per tie to that id."""
+def _key_rows(texts: DataFrame, k: int, num: int, den: int, common) -> DataFrame:
+    """``key, doc_id``: for every chunk, one row per key with the smallest id that
+    has it, and two rows per tie to that id."""
     def run(batches: Iterable[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        values, counts = late.value
+        values, deal = common.value, Parts(num, den)
         keys: list[np.ndarray] = []
         ids_of: list[np.ndarray] = []
         known: set[tuple[int, int]] = set()
@@ -316,15 +404,11 @@ def _prefix_rows(texts: DataFrame, k: int, num: int, den: int, late) -> DataFram
                 if i is None or not len(s) or (m := set_hash(s)) in known:
                     continue
                 known.add(m)
-                if len(values):
-                    at = np.minimum(np.searchsorted(values, s), len(values) - 1)
-                    weight = np.where(values[at] == s, counts[at], 0)
-                    if weight.any():
-                        s = s[np.lexsort((s, weight))]
-                s = s[: prefix_length(len(s), num, den)]
-                keys.append(s)
-                ids_of.append(np.full(len(s), i, np.int64))
-                size += len(s)
+                often = values[np.minimum(np.searchsorted(values, s), len(values) - 1)] == s if len(values) else np.zeros(len(s), bool)
+                for made in deal.keys(s, often):
+                    keys.append(made)
+                    ids_of.append(np.full(len(made), i, np.int64))
+                    size += len(made)
             if size >= CHUNK_SHINGLES:
                 yield from flush()
                 size = 0
@@ -362,21 +446,15 @@ def _linked(texts: DataFrame, tasks: DataFrame, k: int, num: int, den: int) -> D
 
     def run(batches: Iterable[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         def solve(part: list[tuple]) -> pa.RecordBatch:
-            ids, labels = [r[1] for r in part], [r[2] for r in part]
-            sets = [r[3] for r in part]
-            order = sorted(range(len(part)), key=lambda i: ids[i])
-            place = {}
-            groups = Groups(len(part))
-            for i in order:
-                j = place.setdefault(labels[i], i)
-                groups.up[i] = j
-            # roots need not be the smallest index here: find() follows them, join() keeps one
-            sides = [[i for i in order if part[i][0] == s] for s in (0, 1)]
-            traverse(sides[0], sides[1] or None, sets, groups, num, den)
+            part = sorted(part, key=lambda r: r[1])
+            ids, place = [r[1] for r in part], {}
+            label = np.array([place.setdefault(r[2], i) for i, r in enumerate(part)])
+            sides = [[i for i, r in enumerate(part) if r[0] == s] for s in (0, 1)]
+            traverse(sides[0], sides[1] or None, [r[3] for r in part], label, num, den)
             least: dict[int, int] = {}
-            for i in order:
-                least.setdefault(groups.find(i), ids[i])
-            pairs = sorted({(least[groups.find(i)], ids[i]) for i in order if least[groups.find(i)] != ids[i]})
+            for own, i in zip(label.tolist(), ids):
+                least.setdefault(own, i)
+            pairs = [(least[own], i) for own, i in zip(label.tolist(), ids) if least[own] != i]
             return pa.record_batch([pa.array([p[0] for p in pairs], pa.int64()), pa.array([p[1] for p in pairs], pa.int64())], ["a", "b"])
 
         task, part = None, []
@@ -448,16 +526,14 @@ def components(docs: DataFrame, *, k: int = WORDS, num: int = NUM, den: int = DE
     texts = _texts(docs, id_col, text_col)
     survey = stored(_survey(texts, k), "shingle-survey")
     sets = survey.where("kind = 0").select("doc_id", "n", "s1", "s2")
-    order = survey.where("kind = 1").groupBy("s1").agg(F.sum("n").alias("n")).where(F.col("n") >= REPEATS).orderBy(F.desc("n"), "s1").limit(ORDER_ROWS)
-    got = order.toArrow()  # at most ORDER_ROWS shingles
-    values, counts = np.array(got.column("s1").to_pylist(), np.int64).view(np.uint64), np.array(got.column("n").to_pylist(), np.int64)
-    by_value = np.argsort(values)
-    late = spark.sparkContext.broadcast((values[by_value], counts[by_value]))
+    often = survey.where("kind = 1").groupBy("s1").agg(F.sum("n").alias("n")).where(F.col("n") >= REPEATS).orderBy(F.desc("n"), "s1").limit(COMMON_SHINGLES)
+    got = often.toArrow()  # at most COMMON_SHINGLES shingles
+    common = spark.sparkContext.broadcast(np.sort(np.array(got.column("s1").to_pylist(), np.int64).view(np.uint64)))
     salted = sets.where("n > 0 and doc_id is not null").withColumn("salt", row_salt("doc_id", SALTS))
     same = Window.partitionBy("s1", "s2", "n")
     classes = salted.groupBy("s1", "s2", "n", "salt").agg(F.min("doc_id").alias("m")).repartition("s1", "s2", "n").withColumn("head", F.min("m").over(same)).drop("m")
     heads = stored(salted.join(classes, ["s1", "s2", "n", "salt"]).select("doc_id", "head"), "set-classes")
-    rows = _prefix_rows(texts, k, num, den, late)
+    rows = _key_rows(texts, k, num, den, common)
     hub = F.min("doc_id").over(Window.partitionBy("key"))
     near = rows.withColumn("hub", hub).where("doc_id != hub").select(F.col("hub").alias("x"), F.col("doc_id").alias("y")).distinct()
     ties = near.join(heads.select(F.col("doc_id").alias("x"), F.col("head").alias("a")), "x").join(heads.select(F.col("doc_id").alias("y"), F.col("head").alias("b")), "y").select("a", "b").where("a != b")

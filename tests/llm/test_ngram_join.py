@@ -68,19 +68,25 @@ def test_nulls_repeats_and_empty(spark):
     assert nj.components(docs.limit(0)).count() == 0
 
 
-def test_traversal_finds_all_pairs():
+def test_traversal_finds_all_pairs(monkeypatch):
+    monkeypatch.setattr(nj, "LEAF", 4)
     rng = np.random.default_rng(0)
     base = rng.integers(0, 2**63, 60, dtype=np.uint64)
     sets = [np.unique(np.concatenate([base[rng.permutation(60)[: rng.integers(50, 61)]], rng.integers(0, 2**63, rng.integers(0, 6), dtype=np.uint64)])) for _ in range(80)]
-    want = nj.Groups(80)
+    sets[7] = sets[3]
+    want = list(range(80))
     for i in range(80):
         for j in range(i):
-            if nj.links(sets[i], sets[j], 9, 10):
-                want.join(i, j)
-    for left, right in ((list(range(80)), None), (list(range(40)), list(range(40, 80)))):
-        got = nj.Groups(80)
-        nj.traverse(left, right, sets, got, 9, 10)
-        if right is not None:
-            nj.traverse(left, None, sets, got, 9, 10)
-            nj.traverse(right, None, sets, got, 9, 10)
-        assert [got.find(i) for i in range(80)] == [want.find(i) for i in range(80)]
+            if nj.links(sets[i], sets[j], 9, 10) and want[i] != want[j]:
+                low, high = sorted((want[i], want[j]))
+                want = [low if w == high else w for w in want]
+    for entries in (nj.MATRIX_ENTRIES, 0):
+        monkeypatch.setattr(nj, "MATRIX_ENTRIES", entries)
+        for halves in (False, True):
+            got = np.arange(80)
+            if halves:
+                for left, right in ((list(range(40)), list(range(40, 80))), (list(range(40)), None), (list(range(40, 80)), None)):
+                    nj.traverse(left, right, sets, got, 9, 10)
+            else:
+                nj.traverse(list(range(80)), None, sets, got, 9, 10)
+            assert got.tolist() == want
