@@ -419,23 +419,29 @@ def _key_rows(texts: DataFrame, k: int, num: int, den: int, common) -> DataFrame
 
 def connected(edges: DataFrame) -> DataFrame:
     """``doc_id, label`` of all nodes of the edges (a, b): the smallest id that is
-    reachable. Labels spread along edges and jump to their own label's label, with
-    one written table a round."""
-    both = stored(edges.select("a", "b").union(edges.select("b", "a")).distinct(), "edges")
-    labels = stored(both.groupBy(F.col("a").alias("doc_id")).agg(F.min("b").alias("m")).select("doc_id", F.least("doc_id", "m").alias("label")), "labels")
-    while True:
-        near = both.join(labels.withColumnRenamed("doc_id", "b"), "b").groupBy(F.col("a").alias("doc_id")).agg(F.min("label").alias("near"))
-        spread = labels.join(near, "doc_id").select("doc_id", F.col("label").alias("old"), F.least("label", "near").alias("label"))
-        jump = labels.select(F.col("doc_id").alias("label"), F.col("label").alias("further"))
-        after = stored(spread.join(jump, "label", "left").select("doc_id", "old", F.least("label", F.coalesce("further", "label")).alias("label")), "labels")
-        moved = after.where("label < old").isEmpty()
-        labels = after.select("doc_id", "label")
-        if moved:
-            return labels
+    reachable. In each round every node hooks to its smallest smaller neighbour, the
+    hooks are followed to their roots by doubling, and the edges shrink to those
+    between different roots; each step is one written table."""
+    ordered = edges.where("a != b").select(F.least("a", "b").alias("a"), F.greatest("a", "b").alias("b")).distinct()
+    left = stored(ordered, "edges")
+    nodes = stored(left.select(F.col("a").alias("doc_id")).union(left.select("b")).distinct().select("doc_id", F.col("doc_id").alias("label")), "labels")
+    while not left.isEmpty():
+        roots = stored(left.groupBy(F.col("b").alias("node")).agg(F.min("a").alias("root")), "hooks")
+        while True:
+            above = roots.select(F.col("node").alias("root"), F.col("root").alias("above"))
+            jumped = stored(roots.join(above, "root", "left").select("node", F.coalesce("above", "root").alias("root"), F.col("above").isNotNull().alias("moved")), "hooks")
+            roots = jumped.select("node", "root")
+            if jumped.where("moved").isEmpty():
+                break
+        to = lambda df, c: df.join(roots.withColumnRenamed("node", c), c, "left").withColumn(c, F.coalesce("root", c)).drop("root")
+        nodes = stored(to(nodes, "label").select("doc_id", "label"), "labels")
+        met = to(to(left, "b"), "a")
+        left = stored(met.where("a != b").select(F.least("a", "b").alias("a"), F.greatest("a", "b").alias("b")).distinct(), "edges")
+    return nodes
 
 
 def _linked(texts: DataFrame, tasks: DataFrame, k: int, num: int, den: int) -> DataFrame:
-    """``a, b``: a tie of each text to the smallest id of its component in its task.
+    """``a, b``: ties between texts of different labels that a task found connected.
     tasks: doc_id, task, side, label. Side 0 meets side 1, or itself where a task
     has no side 1; texts of one label count as connected."""
     wanted = tasks.select(F.col("doc_id").alias("wanted")).distinct()
@@ -448,13 +454,17 @@ def _linked(texts: DataFrame, tasks: DataFrame, k: int, num: int, den: int) -> D
         def solve(part: list[tuple]) -> pa.RecordBatch:
             part = sorted(part, key=lambda r: r[1])
             ids, place = [r[1] for r in part], {}
-            label = np.array([place.setdefault(r[2], i) for i, r in enumerate(part)])
+            before = np.array([place.setdefault(r[2], i) for i, r in enumerate(part)])
+            label = before.copy()
             sides = [[i for i, r in enumerate(part) if r[0] == s] for s in (0, 1)]
             traverse(sides[0], sides[1] or None, [r[3] for r in part], label, num, den)
+            # one tie for each former label, by the smallest id that it has here
             least: dict[int, int] = {}
-            for own, i in zip(label.tolist(), ids):
-                least.setdefault(own, i)
-            pairs = [(least[own], i) for own, i in zip(label.tolist(), ids) if least[own] != i]
+            pairs = []
+            for i in np.flatnonzero(before == np.arange(len(part))).tolist():
+                first = least.setdefault(int(label[i]), ids[i])
+                if first != ids[i]:
+                    pairs.append((first, ids[i]))
             return pa.record_batch([pa.array([p[0] for p in pairs], pa.int64()), pa.array([p[1] for p in pairs], pa.int64())], ["a", "b"])
 
         task, part = None, []
