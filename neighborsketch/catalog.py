@@ -2,6 +2,13 @@
 
 from __future__ import annotations
 
-QUERIES: dict = {}
-ORACLES: dict[str, str] = {}
+from .catalog_data import ORACLES as _DATA_SQL
+from .catalog_data import QUERIES as _DATA
+from .catalog_experiments import ORACLES as _EXPERIMENT_SQL
+from .catalog_experiments import QUERIES as _EXPERIMENTS
+from .catalog_sketch import ORACLES as _SKETCH_SQL
+from .catalog_sketch import QUERIES as _SKETCH
+
+QUERIES: dict = {**_DATA, **_SKETCH, **_EXPERIMENTS}
+ORACLES: dict[str, str] = {**_DATA_SQL, **_SKETCH_SQL, **_EXPERIMENT_SQL}
 FLAGSHIP = "top_neighbors_docs"

@@ -20,11 +20,15 @@ def table(spark: SparkSession, sf_dir: str, name: str) -> DataFrame:
     return spark.read.parquet(f"{sf_dir}/{name}.parquet")
 
 
-def shingle_codes(text: Column, k: int = 3) -> Column:
-    """Distinct codes of all runs of k tokens; of all tokens, if there are fewer."""
-    tokens = F.regexp_extract_all(F.coalesce(text, F.lit("")), F.lit(r"[^\s]+"), F.lit(0))
-    n = F.size(tokens)
-    runs = F.transform(F.sequence(F.lit(1), F.greatest(n - k + 1, F.lit(1))), lambda i: code(F.array_join(F.slice(tokens, i, k), " ")))
+def tokens(text: Column) -> Column:
+    return F.regexp_extract_all(F.coalesce(text, F.lit("")), F.lit(r"[^\s]+"), F.lit(0))
+
+
+def shingle_codes(words: Column, k: int = 3) -> Column:
+    """Distinct codes of all runs of k tokens; of all tokens, if there are fewer. The
+    tokens should be a column of their own, or each run splits the text again."""
+    n = F.size(words)
+    runs = F.transform(F.sequence(F.lit(1), F.greatest(n - k + 1, F.lit(1))), lambda i: code(F.array_join(F.slice(words, i, k), " ")))
     return F.when(n == 0, F.array().cast("array<long>")).otherwise(F.array_distinct(runs))
 
 
@@ -50,7 +54,15 @@ def perturbed(pairs: DataFrame, salt: int = 29) -> DataFrame:
 
 
 def _texts(df: DataFrame, row_id: Column, text: Column, k: int = 3) -> DataFrame:
-    return df.select(row_id.alias("id"), F.array_sort(shingle_codes(text, k)).alias("elements")).where("size(elements) > 0")
+    # one() keeps filters on the codes from being pushed into the lambda above the tokens
+    words = df.select(row_id.alias("id"), one(tokens(text)).alias("words")).where("size(words) > 0")
+    return words.select("id", one(F.array_sort(shingle_codes(F.col("words"), k))).alias("elements"))
+
+
+def one(value: Column) -> Column:
+    """The value itself, computed once: the optimizer does not move predicates on a
+    generator's output below it, nor copy the value into other expressions."""
+    return F.explode(F.array(value))
 
 
 def _lines(spark: SparkSession, sf_dir: str) -> DataFrame:
