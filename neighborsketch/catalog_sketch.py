@@ -311,8 +311,8 @@ def cms_bound_check(spark, sf_dir):
 
 
 @query("exact_cell_decode", f"""WITH {sql.pairs('basket_twins')}, {sql.constants(3, 60, 1, 1)}, s AS (SELECT qid, id, inter / uni AS s FROM sims),
-    at AS (SELECT id, row, {sql.column('a', 'b', 60)} AS col FROM sizes, rowpar), y AS (SELECT qid, row, col, sum(s) AS y FROM s JOIN at USING (id) GROUP BY qid, row, col)
-    SELECT qid, id, round(min(y), 6) AS score FROM at JOIN y ON at.row = y.row AND at.col = y.col WHERE qid IN (SELECT DISTINCT qid FROM sims WHERE inter * 10 >= uni * 9) GROUP BY qid, id HAVING count(*) = 3""")
+    placed AS (SELECT id, row, {sql.column("a", "b", 60)} AS col FROM sizes, rowpar), y AS (SELECT qid, row, col, sum(s) AS y FROM s JOIN placed USING (id) GROUP BY qid, row, col)
+    SELECT qid, id, round(min(y), 6) AS score FROM placed JOIN y ON placed.row = y.row AND placed.col = y.col WHERE qid IN (SELECT DISTINCT qid FROM sims WHERE inter * 10 >= uni * 9) GROUP BY qid, id HAVING count(*) = 3""")
 def exact_cell_decode(spark, sf_dir):
     from .operators import exact
 

@@ -74,20 +74,19 @@ def stored_sketch(spark: SparkSession, path: str) -> DataFrame:
     return spark.read.parquet(path).groupBy("cell").agg(F.sum("n").alias("n"))
 
 
-def as_of(queries: DataFrame, snapshots: DataFrame, *, query_time: str = "at", snapshot_time: str = "taken") -> DataFrame:
+def as_of(queries: DataFrame, snapshots: DataFrame, *, query_time: str = "at", snapshot_time: str = "taken", bucket: str = "hour") -> DataFrame:
     """Each query with the last snapshot that is not after it (null if none): both
-    sides in one ordered pass."""
+    sides in one ordered pass within each ``bucket`` of time, and the last snapshot of
+    earlier buckets carried over by a table with a row a bucket."""
     from pyspark.sql import Window
 
     left = queries.select(F.col(query_time).alias("__t"), F.lit(1).alias("__kind"), F.struct(*queries.columns).alias("__q"), F.lit(None).cast(snapshots.schema[snapshot_time].dataType).alias("__s"))
     right = snapshots.select(F.col(snapshot_time).alias("__t"), F.lit(0).alias("__kind"), F.lit(None).cast(left.schema["__q"].dataType).alias("__q"), F.col(snapshot_time).alias("__s"))
-    days = F.date_trunc("month", "__t")
-    both = left.unionByName(right).withColumn("__month", days)
-    inside = both.withColumn("__last", F.last("__s", ignorenulls=True).over(Window.partitionBy("__month").orderBy("__t", "__kind")))
-    # the last snapshot of earlier months: a row a month
-    months = inside.groupBy("__month").agg(F.max("__s").alias("m"))
-    carried = months.withColumn("__before", F.max("m").over(Window.orderBy("__month").rowsBetween(Window.unboundedPreceding, -1))).select("__month", "__before")
-    return inside.where("__kind = 1").join(F.broadcast(carried), "__month").select("__q.*", F.coalesce("__last", "__before").alias("snapshot"))
+    both = left.unionByName(right).withColumn("__bucket", F.date_trunc(bucket, "__t"))
+    inside = both.withColumn("__last", F.last("__s", ignorenulls=True).over(Window.partitionBy("__bucket").orderBy("__t", "__kind")))
+    buckets = inside.groupBy("__bucket").agg(F.max("__s").alias("m"))
+    carried = buckets.withColumn("__before", F.max("m").over(Window.orderBy("__bucket").rowsBetween(Window.unboundedPreceding, -1))).select("__bucket", "__before")
+    return inside.where("__kind = 1").join(F.broadcast(carried), "__bucket").select("__q.*", F.coalesce("__last", "__before").alias("snapshot"))
 
 
 def interval_sketch(daily: DataFrame, intervals: DataFrame) -> DataFrame:
