@@ -41,6 +41,8 @@ def test_running_equals_batch_and_duplicates_count_once(spark, tmp_path):
 def test_windows_drop_late_rows(spark, tmp_path):
     write(spark, rows_of(72), tmp_path / "in")
     time.sleep(1.1)  # files are taken by age
+    write(spark, rows_of(1, 72), tmp_path / "in")
+    time.sleep(1.1)
     write(spark, [(500, T0, [1, 2])], tmp_path / "in")  # after its window closed
     source = stream.file_stream(spark, str(tmp_path / "in"), SCHEMA, per_trigger=1)
     q = run(stream.windowed_sketch(source, P, time_col="ts", size="1 day", delay="1 hour"), "window_sketch", "append", tmp_path / "c")
