@@ -34,6 +34,10 @@ def _docs(spark, sf_dir):
     return views.items(spark, sf_dir, "doc_shingles")
 
 
+def _doc_ids(spark, sf_dir):
+    return views.ids(spark, sf_dir, "doc_shingles")
+
+
 def _unseen(spark, sf_dir):
     return views.items(spark, sf_dir, "benchmark_shingles")
 
@@ -160,7 +164,7 @@ _UNPACK = "SELECT cell // 2000 AS row, (cell // 200) % 10 AS col, (cell // 100)
 @query("sketch_sparse_layout", f"WITH {sql.sketch('doc_shingles', 2, 10, 2, 1, 100)} SELECT row, col, rep, count(*)::BIGINT AS nonzero, string_agg(bucket || ':' || n, ',' ORDER BY bucket) AS counts FROM ({_UNPACK}) GROUP BY row, col, rep")
 def sketch_sparse_layout(spark, sf_dir):
     table = layout.to_sparse(grid.build_sketch(_docs(spark, sf_dir), SMALL, engine="arrow"))
-    entries = F.transform(F.array_sort(F.map_entries("counts")), lambda e: F.concat_ws(":", e["key"], e["value"]))
+    entries = F.transform(F.sort_array(F.map_entries("counts")), lambda e: F.concat_ws(":", e["key"], e["value"]))
     return table.select("row", "col", "rep", F.size("counts").cast("long").alias("nonzero"), F.array_join(entries, ",").alias("counts"))
 
 
@@ -224,27 +228,24 @@ _SCORES = f"{_READ}, {sql.measured(2)}, {sql.decoded(10)}"
 @query("decode_min_docs", f"{_SCORES} SELECT qid, id, score FROM scores")
 def decode_min_docs(spark, sf_dir):
     y = decode.estimate_measurements(_readings(spark, sf_dir)[1], groups=2)
-    return decode.recover_scores(y, _docs(spark, sf_dir).select("id"), SMALL)
+    return decode.recover_scores(y, _doc_ids(spark, sf_dir), SMALL)
 
 
 @query("top_neighbors_docs", f"{_SCORES} {sql.top(V)}")
 def top_neighbors_docs(spark, sf_dir):
     """The flagship: documents nearest to each benchmark passage, from the sketch alone."""
-    docs = _docs(spark, sf_dir)
-    return decode.top_neighbors(grid.build_sketch(docs, SMALL, engine="arrow"), _unseen(spark, sf_dir), docs.select("id"), V, groups=2)
+    return decode.top_neighbors(grid.build_sketch(_docs(spark, sf_dir), SMALL, engine="arrow"), _unseen(spark, sf_dir), _doc_ids(spark, sf_dir), V, groups=2)
 
 
 @query("top_neighbors_pruned", f"{_SCORES} {sql.top(V)}")
 def top_neighbors_pruned(spark, sf_dir):
-    docs = _docs(spark, sf_dir)
-    return decode.top_neighbors(grid.build_sketch(docs, SMALL, engine="arrow"), _unseen(spark, sf_dir), docs.select("id"), V, groups=2, decode="threshold")
+    return decode.top_neighbors(grid.build_sketch(_docs(spark, sf_dir), SMALL, engine="arrow"), _unseen(spark, sf_dir), _doc_ids(spark, sf_dir), V, groups=2, decode="threshold")
 
 
 @query("top_neighbors_arrow", f"{_SCORES} {sql.top(V)}")
 def top_neighbors_arrow(spark, sf_dir):
-    docs = _docs(spark, sf_dir)
-    ys = decode.measure_arrow(grid.build_sketch(docs, SMALL, engine="arrow"), _unseen(spark, sf_dir), groups=2)
-    return decode.top_arrow(ys, docs.select("id"), SMALL, V)
+    ys = decode.measure_arrow(grid.build_sketch(_docs(spark, sf_dir), SMALL, engine="arrow"), _unseen(spark, sf_dir), groups=2)
+    return decode.top_arrow(ys, _doc_ids(spark, sf_dir), SMALL, V)
 
 
 _BASKET_READ = f"""WITH {sql.pairs('basket_twins')}, {_CLOSE_DOCS}, {sql.sketch('basket_twins', 2, 12, 3, 1, 100)},
@@ -254,7 +255,15 @@ _BASKET_READ = f"""WITH {sql.pairs('basket_twins')}, {_CLOSE_DOCS}, {sql.sketch(
 @query("top_neighbors_baskets", f"{_BASKET_READ} {sql.top(V, where='id <> qid')}")
 def top_neighbors_baskets(spark, sf_dir):
     items = _baskets(spark, sf_dir)
-    return decode.top_neighbors(grid.build_sketch(items, TWINS, engine="arrow"), _close(items), items.select("id"), V, groups=3, hold_out="decrement_one")
+    ys = decode.measure_arrow(grid.build_sketch(items, TWINS, engine="arrow"), _close(items), groups=3, hold_out="decrement_one")
+    return decode.top_arrow(ys, views.ids(spark, sf_dir, "basket_twins"), TWINS, V, exclude_own=True)
+
+
+@query("top_neighbors_baskets_sql", ORACLES["top_neighbors_baskets"])
+def top_neighbors_baskets_sql(spark, sf_dir):
+    """The same with built-in expressions only."""
+    items = _baskets(spark, sf_dir)
+    return decode.top_neighbors(grid.build_sketch(items, TWINS), _close(items), views.ids(spark, sf_dir, "basket_twins"), V, groups=3, hold_out="decrement_one")
 
 
 @query("neighbors_above_baskets", f"{_BASKET_READ} SELECT qid, id, score FROM scores WHERE id <> qid AND score >= 2")

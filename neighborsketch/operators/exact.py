@@ -26,9 +26,11 @@ def close_pairs(items: DataFrame, num: int, den: int) -> DataFrame:
     Only the rarest elements of each set, as many as a close pair must share one of,
     are joined (prefix and size filters); survivors are compared exactly."""
     each = items.select("id", F.size("elements").alias("n"), F.explode("elements").alias("element"))
-    counts = each.groupBy("element").agg(F.count(F.lit(1)).alias("df"))
-    ranked = each.join(counts, "element").withColumn("at", F.row_number().over(Window.partitionBy("id").orderBy("df", "element")))
-    prefix = ranked.where(F.col("at") <= F.col("n") - F.ceil(F.col("n") * num / den - 1e-9) + 1).where("df > 1").select("id", "n", "element")
+    counts = each.groupBy("element").agg(F.count(F.lit(1)).alias("df")).where("df > 1")
+    # elements of a single set come first in its order and match nothing: only their number counts
+    own = Window.partitionBy("id")
+    shared = each.join(counts, "element").withColumn("at", F.col("n") - F.count(F.lit(1)).over(own) + F.row_number().over(own.orderBy("df", "element")))
+    prefix = shared.where(F.col("at") <= F.col("n") - F.ceil(F.col("n") * num / den - 1e-9) + 1).select("id", "n", "element")
     other = prefix.select(F.col("id").alias("qid"), F.col("n").alias("m"), "element")
     candidates = prefix.join(other, "element").where((F.col("id") != F.col("qid")) & (F.col("n") * den >= F.col("m") * num) & (F.col("m") * den >= F.col("n") * num)).select("qid", "id").distinct()
     left, right = items.select(F.col("id").alias("qid"), F.col("elements").alias("a")), items.select("id", F.col("elements").alias("b"))

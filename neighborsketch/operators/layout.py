@@ -39,7 +39,7 @@ def _checked(n, width_bits: int):
 def to_sparse(sketch: Sketch, width_bits: int = 16) -> DataFrame:
     """``row, col, rep, counts``: a map from bucket to counter by collision array."""
     entry = F.struct(F.col("bucket").cast("int").alias("bucket"), _checked(F.col("n"), width_bits).alias("n"))
-    return unpack(sketch.cells, sketch.params).groupBy("row", "col", "rep").agg(F.map_from_entries(F.array_sort(F.collect_list(entry))).alias("counts"))
+    return unpack(sketch.cells, sketch.params).groupBy("row", "col", "rep").agg(F.map_from_entries(F.sort_array(F.collect_list(entry))).alias("counts"))
 
 
 def to_dense(sketch: Sketch, width_bits: int = 16) -> DataFrame:

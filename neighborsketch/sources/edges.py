@@ -20,7 +20,7 @@ def read_edges(spark: SparkSession, path: str, fmt: str = "text") -> DataFrame:
 
 def adjacency(edges: DataFrame) -> DataFrame:
     """``id, elements``: each node with its neighbours."""
-    return edges.where("src is not null and dst is not null").groupBy(F.col("src").alias("id")).agg(F.array_sort(F.collect_set("dst")).alias("elements"))
+    return edges.where("src is not null and dst is not null").groupBy(F.col("src").alias("id")).agg(F.sort_array(F.collect_set("dst")).alias("elements"))
 
 
 def edges_of(sets: DataFrame) -> DataFrame:

@@ -53,10 +53,22 @@ def perturbed(pairs: DataFrame, salt: int = 29) -> DataFrame:
     return pairs.where(((h * TWIN_ELEMENT + F.col("element") * TWIN_ID + DROP_SALT) % PRIME) % 100 >= 10)
 
 
+SPREAD_BYTES = 16 << 20
+
+
+def spread(df: DataFrame) -> DataFrame:
+    """Deals a small input out over all cores: a file of a few row groups would keep
+    just as many of them busy. Inputs that fill the cores anyway stay as they are."""
+    cores = df.sparkSession.sparkContext.defaultParallelism
+    size = int(str(df._jdf.queryExecution().optimizedPlan().stats().sizeInBytes()))
+    return df.repartition(cores) if size < cores * SPREAD_BYTES else df
+
+
 def _texts(df: DataFrame, row_id: Column, text: Column, k: int = 3) -> DataFrame:
     # one() keeps filters on the codes from being pushed into the lambda above the tokens
-    words = df.select(row_id.alias("id"), one(tokens(text)).alias("words")).where("size(words) > 0")
-    return words.select("id", one(F.array_sort(shingle_codes(F.col("words"), k))).alias("elements"))
+    dealt = spread(df.select(row_id.alias("id"), text.alias("text")))
+    words = dealt.select("id", one(tokens(F.col("text"))).alias("words")).where("size(words) > 0")
+    return words.select("id", one(F.sort_array(shingle_codes(F.col("words"), k))).alias("elements"))
 
 
 def one(value: Column) -> Column:
@@ -91,16 +103,18 @@ def _pairs(name: str, spark: SparkSession, sf_dir: str) -> DataFrame:
     raise KeyError(name)
 
 
+#: Table, id and text of the text views.
+TEXTS = {
+    "doc_shingles": ("documents", lambda f: f.col("doc_id"), lambda f: f.col("text")),
+    "page_tokens": ("pages", lambda f: f.col("page_id"), lambda f: visible_text(f.col("html"))),
+    "turn_shingles": ("conversations", lambda f: f.col("conv_id") * 100 + f.col("turn"), lambda f: f.col("text")),
+    "benchmark_shingles": ("benchmark", lambda f: f.col("item_id"), lambda f: f.col("text")),
+}
+
+
 def _sets(name: str, spark: SparkSession, sf_dir: str) -> DataFrame:
-    if name == "doc_shingles":
-        return _texts(table(spark, sf_dir, "documents"), F.col("doc_id"), F.col("text"))
-    if name == "page_tokens":
-        return _texts(table(spark, sf_dir, "pages"), F.col("page_id"), visible_text(F.col("html")))
-    if name == "turn_shingles":
-        return _texts(table(spark, sf_dir, "conversations"), F.col("conv_id") * 100 + F.col("turn"), F.col("text"))
-    if name == "benchmark_shingles":
-        return _texts(table(spark, sf_dir, "benchmark"), F.col("item_id"), F.col("text"))
-    raise KeyError(name)
+    source, row_id, text = TEXTS[name]
+    return _texts(table(spark, sf_dir, source), row_id(F), text(F))
 
 
 PAIR_VIEWS = ("basket_customer", "basket_twins", "basket_order", "part_suppliers", "user_events")
@@ -125,7 +139,15 @@ def sets(spark: SparkSession, sf_dir: str, name: str) -> DataFrame:
 
 
 def to_sets(pairs_df: DataFrame) -> DataFrame:
-    return pairs_df.where("element is not null").groupBy("id").agg(F.array_sort(F.collect_set("element")).alias("elements"))
+    return pairs_df.where("element is not null").groupBy("id").agg(F.sort_array(F.collect_set("element")).alias("elements"))
+
+
+def ids(spark: SparkSession, sf_dir: str, name: str) -> DataFrame:
+    """The ids of a view's items, without making their elements."""
+    if name in PAIR_VIEWS:
+        return _pairs(name, spark, sf_dir).select("id").distinct()
+    source, row_id, text = TEXTS[name]
+    return table(spark, sf_dir, source).where(text(F).rlike(r"[^\s]")).select(row_id(F).alias("id"))
 
 
 def items(spark: SparkSession, sf_dir: str, name: str) -> DataFrame:

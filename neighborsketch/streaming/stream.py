@@ -51,7 +51,7 @@ def windowed_sketch(items: DataFrame, p: SketchParams, *, time_col: str, size: s
 def session_sets(events: DataFrame, *, key: str, element: str, time_col: str, gap: str, delay: str | None = None) -> DataFrame:
     """``key, start, end, elements``: the set of each visit, closed by a gap."""
     source = events.withWatermark(time_col, delay) if delay else events
-    return source.groupBy(key, F.session_window(time_col, gap)).agg(F.array_sort(F.collect_set(element)).alias("elements")).select(key, "session_window.start", "session_window.end", "elements")
+    return source.groupBy(key, F.session_window(time_col, gap)).agg(F.sort_array(F.collect_set(element)).alias("elements")).select(key, "session_window.start", "session_window.end", "elements")
 
 
 def keep_running(stream: DataFrame, merge: Callable[[DataFrame, int], None], checkpoint: str):
