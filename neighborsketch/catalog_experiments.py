@@ -261,7 +261,7 @@ def size_accounting(spark, sf_dir):
 
 
 def _small_sweep(spark, sf_dir, view="basket_twins"):
-    grid_ = [SketchParams(d, w, r, hashes=k) for d, w, r, k in ((2, 50, 2, 1), (3, 60, 4, 1), (3, 60, 4, 2), (4, 100, 4, 1))]
+    grid_ = [SketchParams(d, w, r, hashes=k, buckets=b) for d, w, r, k, b in ((2, 50, 2, 1, 100), (3, 60, 4, 1, 100), (3, 60, 4, 2, 100), (4, 100, 4, 1, 100), (2, 100, 2, 1, 1000), (3, 200, 4, 1, 1000))]
     return workloads.sweep(views.items(spark, sf_dir, view), grid=grid_, projections=(5, 20, 50), fractions=(0.1, 0.5, 0.9))
 
 

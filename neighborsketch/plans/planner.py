@@ -27,7 +27,7 @@ def choose(p: SketchParams, *, n_items: int, n_queries: int, nonzero: int | None
     read = "broadcast" if p.counters <= decode.BROADCAST_COUNTERS else "shuffle"
     layout = "dense" if p.counters * width_bits // 8 <= nonzero * (4 + width_bits // 8) else "sparse"
     engine = "arrow" if plain else "sql"
-    how = "arrow" if engine == "arrow" and read == "broadcast" else ("threshold" if p.measurement == "cms" and n_items > 64 * p.cols else "full")
+    how = "arrow" if engine == "arrow" and p.counters <= decode.FLAT_COUNTERS else ("threshold" if p.measurement == "cms" and n_items > 64 * p.cols else "full")
     return Plan(engine, read, how, layout, f"{p.counters} counters, {nonzero} not zero, {n_queries} queries on {n_items} items")
 
 

@@ -32,7 +32,7 @@ def sketch_top(items: DataFrame, queries: DataFrame, p: SketchParams, v: int = 2
     sketch) or ``exclude_at_decode`` (it is only left out of the answer)."""
     kept = items.join(queries.select("id"), "id", "left_anti") if protocol == "holdout_all" else items
     sketch = build_sketch(kept, p, engine="arrow")
-    ys = decode.measure_arrow(sketch, queries, groups=groups, hold_out="decrement_one" if protocol == "decrement_one" else "none")
+    ys = decode.measure(sketch, queries, groups=groups, hold_out="decrement_one" if protocol == "decrement_one" else "none")
     return decode.top_arrow(ys, kept.select("id"), p, v, exclude_own=True)
 
 
@@ -59,7 +59,7 @@ def sweep(items: DataFrame, *, grid: Iterable[SketchParams] = (), projections: I
 
     for p in grid:
         sketch = build_sketch(items, p, engine="arrow")
-        ys = decode.measure_arrow(sketch, queries, groups=min(groups, p.reps), hold_out="decrement_one")
+        ys = decode.measure(sketch, queries, groups=min(groups, p.reps), hold_out="decrement_one")
         found = _recalls(decode.top_arrow(ys, items.select("id"), p, 20, exclude_own=True), truth)
         setting = f"rows={p.rows},cols={p.cols},reps={p.reps},hashes={p.hashes},buckets={p.slots}"
         for kind in ("dense", "sparse"):
