@@ -20,7 +20,6 @@ KEY_BYTES = 4  # of a flat offset into the counters
 def counter_profile(sketch: Sketch) -> DataFrame:
     """``max_count, nonzero, zero_fraction, width_bits``: one row."""
     largest = F.coalesce(F.max(F.abs("n")), F.lit(0)).cast("long")
-    bits = F.when(largest < 128, 8).when(largest < 32768, 16).otherwise(32)
     total = F.lit(sketch.params.counters).cast("double")
     return sketch.cells.agg(largest.alias("max_count"), F.count(F.lit(1)).alias("nonzero")).select(
         "max_count", "nonzero", (F.lit(1.0) - F.col("nonzero") / total).alias("zero_fraction"),
