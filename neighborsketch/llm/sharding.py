@@ -3,7 +3,7 @@
 Equal texts form atomic groups. The groups lie in one fixed order (by digest)
 and each shard takes a contiguous run of them; the smallest capacity for which
 a greedy walk needs no more than the given number of shards is found by binary
-search, and the walk at that capacity sets the cuts.
+search, and the cuts are set within it, as evenly as it allows.
 
 The walk runs on the driver over *units*: groups whose start falls into the same
 cell of ``total / (shards * resolution)`` bytes are one unit. There are at most
@@ -23,7 +23,8 @@ table gives an empty result; other columns are not read.
 
 from __future__ import annotations
 
-from bisect import bisect_right
+from bisect import bisect_left, bisect_right
+from itertools import accumulate
 
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
@@ -59,7 +60,33 @@ def minimax_cuts(sizes: list[int], shards: int) -> tuple[int, list[int]]:
             high = middle
         else:
             low = middle + 1
-    return low, greedy_cuts(sizes, low)
+    return low, even_cuts(sizes, shards, low)
+
+
+def even_cuts(sizes: list[int], shards: int, capacity: int) -> list[int]:
+    """Cuts that keep the capacity and lie nearest to equal shares of what is left: a
+    plain greedy walk fills its first shards and leaves the last one short."""
+    ends = [0, *accumulate(sizes)]
+    n, earliest, i = len(sizes), [0] * (shards + 1), len(sizes)
+    for j in range(shards - 1, 0, -1):  # from where the shards j and later can hold the rest
+        used = 0
+        while i and used + sizes[i - 1] <= capacity:
+            used += sizes[i - 1]
+            i -= 1
+        earliest[j] = i
+    cuts = [0]
+    for j in range(1, shards):
+        last = cuts[-1]
+        aim = ends[last] + (ends[n] - ends[last]) / (shards - j + 1)
+        near = bisect_left(ends, aim)
+        if near and aim - ends[near - 1] < ends[near] - aim:
+            near -= 1
+        furthest = bisect_right(ends, ends[last] + capacity) - 1
+        cut = min(max(near, earliest[j], last + 1), furthest)
+        if cut >= n:
+            break
+        cuts.append(cut)
+    return cuts
 
 
 def assign(docs: DataFrame, *, id_col: str = "doc_id", text_col: str = "text", shards: int = SHARDS, resolution: int = RESOLUTION, salts: int = SALTS) -> DataFrame:
@@ -103,10 +130,5 @@ def assign(docs: DataFrame, *, id_col: str = "doc_id", text_col: str = "text", s
     )
 
 
-def shard_of(starts: list[int], offset: int) -> int:
-    """The shard of a group that starts at this byte offset."""
-    return bisect_right(starts, offset) - 1
-
-
 def op10_sharding(spark: SparkSession, sf_dir: str) -> DataFrame:
     return assign(table(spark, sf_dir, "documents"))

@@ -112,6 +112,9 @@ def test_minimax_against_all_partitions():
         best = min(max(sum(sizes[a:b]) for a, b in zip((0, *cut), (*cut, len(sizes)))) for n in range(min(k, len(sizes))) for cut in combinations(range(1, len(sizes)), n))
         capacity, cuts = sharding.minimax_cuts(sizes, k)
         assert capacity == best and len(cuts) <= k
+        assert max(sum(sizes[a:b]) for a, b in zip(cuts, (*cuts[1:], len(sizes)))) == best
+    even = sharding.minimax_cuts([10] * 1000, 24)[1]
+    assert {b - a for a, b in zip(even, (*even[1:], 1000))} == {41, 42}
 
 
 def test_forest_is_the_trees_one_by_one():
