@@ -536,8 +536,14 @@ def components(docs: DataFrame, *, k: int = WORDS, num: int = NUM, den: int = DE
     texts = _texts(docs, id_col, text_col)
     survey = stored(_survey(texts, k), "shingle-survey")
     sets = survey.where("kind = 0").select("doc_id", "n", "s1", "s2")
-    often = survey.where("kind = 1").groupBy("s1").agg(F.sum("n").alias("n")).where(F.col("n") >= REPEATS).orderBy(F.desc("n"), "s1").limit(COMMON_SHINGLES)
-    got = often.toArrow()  # at most COMMON_SHINGLES shingles
+    often = stored(survey.where("kind = 1").groupBy("s1").agg(F.sum("n").alias("n")).where(F.col("n") >= REPEATS), "common-shingles")
+    steps = {r.step: r.k for r in often.groupBy(F.floor(F.log2("n")).cast("int").alias("step")).agg(F.count(F.lit(1)).alias("k")).collect()}  # at most 64 rows
+    least, held = 64, 0
+    for step in sorted(steps, reverse=True):
+        if held + steps[step] > COMMON_SHINGLES:
+            break
+        least, held = step, held + steps[step]
+    got = often.where(F.floor(F.log2("n")) >= least).select("s1").toArrow()  # at most COMMON_SHINGLES rows
     common = spark.sparkContext.broadcast(np.sort(np.array(got.column("s1").to_pylist(), np.int64).view(np.uint64)))
     salted = sets.where("n > 0 and doc_id is not null").withColumn("salt", row_salt("doc_id", SALTS))
     same = Window.partitionBy("s1", "s2", "n")
