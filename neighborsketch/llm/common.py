@@ -48,6 +48,8 @@ def row_salt(column: str, salts: int) -> Column:
     return F.pmod(F.xxhash64(F.col(column)), F.lit(salts)).cast("int")
 
 
-def sql_without_ws(text: str) -> str:
-    """DuckDB: the text without any contract white space."""
-    return rf"regexp_replace({text}, '[\x20\x09-\x0D]', '', 'g')"
+def hash_share(column: str, share: Column | float) -> Column:
+    """Whether a row's hash lies in the lowest ``share`` of all hashes: ahead of a
+    top-k by hash this leaves about that share of the rows of every task."""
+    share = share if isinstance(share, Column) else F.lit(float(share))
+    return F.xxhash64(column).cast("double") <= F.lit(-(2.0**63)) + F.lit(2.0**64) * share

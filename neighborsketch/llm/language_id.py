@@ -35,7 +35,7 @@ from pyspark.sql import functions as F
 from pyspark.sql import Window
 
 from .byte_bpe import _rows
-from .common import table
+from .common import hash_share, table
 
 TRAIN_ROWS = 2000
 DIMS = 2048
@@ -151,9 +151,12 @@ def held_out(row_id: Column) -> Column:
 
 def train(docs: DataFrame, *, rows: int = TRAIN_ROWS) -> Model:
     usable = docs.where("text is not null and lang is not null and doc_id is not null").where(~held_out(F.col("doc_id")))
-    n_languages = max(1, usable.select("lang").distinct().count())
+    counts = usable.groupBy("lang").agg(F.count(F.lit(1)).alias("texts"))  # a row per language
+    each = max(1, rows // max(1, counts.count()))
+    shares = counts.select("lang", F.least(F.lit(1.0), F.lit(2.0 * each) / F.col("texts")).alias("share"))
     by_hash = Window.partitionBy("lang").orderBy(F.xxhash64("doc_id"), "doc_id")
-    chosen = usable.select("doc_id", "lang").withColumn("at", F.row_number().over(by_hash)).where(F.col("at") <= max(1, rows // n_languages)).select(F.col("doc_id").alias("own"), F.col("lang").alias("name"))
+    near = usable.select("doc_id", "lang").join(F.broadcast(shares), "lang").where(hash_share("doc_id", F.col("share")))
+    chosen = near.withColumn("at", F.row_number().over(by_hash)).where(F.col("at") <= each).select(F.col("doc_id").alias("own"), F.col("lang").alias("name"))
 
     def run(batches: Iterable[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for names, texts in _rows(batches):
