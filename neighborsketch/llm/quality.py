@@ -27,7 +27,7 @@ from pyspark.sql import Column, DataFrame, SparkSession
 from pyspark.sql import functions as F
 
 from .byte_bpe import _rows
-from .common import table
+from .common import hash_share, table
 
 TRAIN_ROWS = 20_000
 TREES, DEPTH, BINS, RATE, SMOOTH = 80, 4, 64, 0.15, 5.0
@@ -167,8 +167,10 @@ def held_out(row_id: Column) -> Column:
 
 
 def _training_rows(docs: DataFrame, labels: DataFrame, rows: int) -> DataFrame:
+    usable = labels.where("doc_id is not null and quality is not null").where(~held_out(F.col("doc_id")))
+    share = min(1.0, 2 * rows / max(1, usable.count()))  # so that no task sends more than it need
     chosen = (
-        labels.where("doc_id is not null and quality is not null").where(~held_out(F.col("doc_id")))
+        usable.where(hash_share("doc_id", share))
         .groupBy("doc_id").agg(F.max("quality").alias("label")).orderBy(F.xxhash64("doc_id"), "doc_id").limit(rows)
         .select(F.col("doc_id").alias("labelled"), F.col("label").cast("double").alias("label"))
     )
