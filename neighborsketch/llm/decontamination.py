@@ -10,7 +10,10 @@ are runs of letters and digits in lower case, so case and punctuation don't coun
    ``S`` shingle positions with the item, so the longest run of shared positions
    is at least ``I / (S - I + 1)`` long. Hence it is enough to look up every
    ``stride``-th shingle of a document in the items' shingles, where the stride is
-   the least such run over all items; each hit gives the windows that align it.
+   the least such run over all items. The item's parts may stand in another order
+   in the window, so a hit gives every window that holds it. Of these stay the ones
+   with enough positions whose shingle the item has at all: the shared positions are
+   among them, so none that could pass goes.
 2. *Fingerprints.* Each such window and each item gets a 64-bit SimHash of its
    weighted shingles. Fingerprints are cut into ``RADIUS + 1`` blocks; two within
    ``RADIUS`` bits agree in one block at least, so a join by block finds all of
@@ -88,33 +91,59 @@ def common_weight(a: Column, b: Column) -> Column:
 def _items(benchmark: DataFrame, item_col: str, text_col: str) -> DataFrame:
     own = benchmark.select(F.col(item_col).cast("long").alias("item_id"), words(whole(text_col)).alias("tokens")).where("item_id is not null and size(tokens) > 0")
     k = F.least(F.lit(WORDS), F.size("tokens"))
-    return own.select("item_id", F.size("tokens").alias("n_words"), k.alias("k"), shingles(F.col("tokens"), k).alias("item_shingles")).withColumn("item_print", simhash(F.col("item_shingles")))
+    return own.select("item_id", F.size("tokens").alias("n_words"), k.alias("k"), shingles(F.col("tokens"), k).alias("item_shingles")).withColumn("item_print", simhash(F.col("item_shingles"))).withColumn("item_hashes", F.transform("item_shingles", lambda s: F.xxhash64(s)))
+
+
+def _piece(tokens: Column, w: Column) -> Column:
+    """The words that the windows around an item's hits cover, and where they begin."""
+    spread = F.size(w["item_hashes"]) - 1
+    end = F.greatest(F.size(tokens) - w["n_words"], F.lit(0))
+    low = F.least(F.greatest(F.array_min(w["hits"]) - spread, F.lit(0)), end)
+    high = F.least(F.array_max(w["hits"]), end)
+    return F.struct(w["item_id"].alias("item_id"), w["n_words"].alias("n_words"), w["k"].alias("k"), w["item_hashes"].alias("item_hashes"), w["hits"].alias("hits"), low.alias("low"), high.alias("high"), F.slice(tokens, low + 1, high - low + w["n_words"]).alias("tokens"))
+
+
+def _starts() -> Column:
+    """The starts, ascending, of all windows of a piece that hold a hit and enough
+    positions with a shingle of the item to pass. An array of one element names what
+    the inner functions share, which they would else compute anew each time."""
+    n, low, high, k = F.size("item_hashes"), F.col("low"), F.col("high"), F.col("k")
+    last = F.size("tokens") - k
+    known = F.when(last >= 0, F.transform(F.sequence(F.lit(0), F.greatest(last, F.lit(0))), lambda i: F.array_contains("item_hashes", F.xxhash64(F.array_join(F.slice("tokens", i + 1, k), " ")))))
+    around = F.array_distinct(F.flatten(F.transform("hits", lambda h: F.sequence(F.greatest(F.least(h - n + 1, high), low), F.least(h, high)))))
+
+    def enough(own: Column) -> Column:
+        return (NUMERATOR + DENOMINATOR) * F.size(F.filter(own, lambda x: x)) >= NUMERATOR * (n + F.size(own))
+
+    return F.flatten(F.transform(F.array(known), lambda m: F.filter(around, lambda s: F.exists(F.array(F.slice(m, s - low + 1, n)), enough))))
 
 
 def matches(docs: DataFrame, benchmark: DataFrame, *, id_col: str = "doc_id", text_col: str = "text", item_col: str = "item_id", item_text_col: str = "text") -> DataFrame:
     """``doc_id, row_key, item_id, inter, uni``: the best window of each matching pair."""
     items = stored(_items(benchmark, item_col, item_text_col), "benchmark-items")
     sizes = items.groupBy("k", F.size("item_shingles").alias("n")).agg(F.count(F.lit(1)).alias("items")).collect()  # distinct item lengths
-    index = items.select("item_id", "n_words", "k", F.posexplode("item_shingles").alias("offset", "shingle")).select("item_id", "n_words", "k", "offset", F.xxhash64("shingle").alias("hash"))
+    index = items.select("item_id", "k", F.explode(F.array_distinct(F.col("item_hashes"))).alias("hash"))
     if sum(r.items * r.n for r in sizes) <= BROADCAST_ROWS:
         index = F.broadcast(index)
     keyed = docs.select(F.col(id_col).cast("long").alias("doc_id"), whole(text_col).alias("text")).withColumn("row_key", F.xxhash64("text"))
     split = keyed.select("doc_id", "row_key", words(F.col("text")).alias("tokens"))
-    anchors = None
+    found = None
     for k in sorted({r.k for r in sizes}):
         stride = min(least_run(r.n) for r in sizes if r.k == k)
         last = F.size("tokens") - k
         looked = F.when(last >= 0, F.transform(
             F.sequence(F.lit(0), F.greatest(last, F.lit(0)), F.lit(stride)), lambda i: F.xxhash64(F.array_join(F.slice("tokens", i + 1, k), " ")))).otherwise(F.array().cast("array<long>"))
-        hits = split.select("doc_id", "row_key", F.size("tokens").alias("n"), F.posexplode(looked).alias("at", "hash")).join(index.where(F.col("k") == k), "hash")
-        hits = hits.select("doc_id", "row_key", "item_id", "n_words", F.least(F.greatest(F.col("at") * stride - F.col("offset"), F.lit(0)), F.greatest(F.col("n") - F.col("n_words"), F.lit(0))).alias("start"))
-        anchors = hits if anchors is None else anchors.unionByName(hits)
-    if anchors is None:
+        hits = split.select("doc_id", "row_key", F.posexplode(looked).alias("at", "hash")).join(index.where(F.col("k") == k), "hash")
+        hits = hits.groupBy("doc_id", "row_key", "item_id").agg(F.sort_array(F.collect_set(F.col("at") * stride)).alias("hits"))
+        found = hits if found is None else found.unionByName(hits)
+    if found is None:
         return keyed.select("doc_id", "row_key", F.lit(0).cast("long").alias("item_id"), F.lit(0).alias("inter"), F.lit(0).alias("uni")).where(F.lit(False))
-    windows = anchors.groupBy("doc_id", "row_key").agg(F.collect_set(F.struct("item_id", "n_words", "start")).alias("windows")).withColumnsRenamed({"doc_id": "__id", "row_key": "__key"})
-    placed = keyed.join(windows, F.col("doc_id").eqNullSafe(F.col("__id")) & (F.col("row_key") == F.col("__key"))).select("doc_id", "row_key", words(F.col("text")).alias("tokens"), "windows")
-    cut = F.transform("windows", lambda w: F.struct(w["item_id"].alias("item_id"), w["start"].alias("start"), F.slice("tokens", w["start"] + 1, w["n_words"]).alias("tokens"), F.least(F.lit(WORDS), w["n_words"]).alias("k")))
-    cuts = placed.select("doc_id", "row_key", F.explode(cut).alias("w")).select("doc_id", "row_key", "w.item_id", "w.start", shingles(F.col("w.tokens"), F.col("w.k")).alias("own_shingles")).where("size(own_shingles) > 0")
+    found = found.join(items.select("item_id", "n_words", "k", "item_hashes").distinct(), "item_id")
+    held = found.groupBy("doc_id", "row_key").agg(F.collect_list(F.struct("item_id", "n_words", "k", "item_hashes", "hits")).alias("held")).withColumnsRenamed({"doc_id": "__id", "row_key": "__key"})
+    placed = keyed.join(held, F.col("doc_id").eqNullSafe(F.col("__id")) & (F.col("row_key") == F.col("__key"))).select("doc_id", "row_key", words(F.col("text")).alias("tokens"), "held")
+    pieces = placed.select("doc_id", "row_key", F.explode(F.transform("held", lambda w: _piece(F.col("tokens"), w))).alias("w")).select("doc_id", "row_key", "w.*")
+    cut = F.transform(_starts(), lambda s: F.struct(s.alias("start"), F.slice("tokens", s - F.col("low") + 1, F.col("n_words")).alias("tokens")))
+    cuts = pieces.select("doc_id", "row_key", "item_id", "k", F.explode(cut).alias("w")).select("doc_id", "row_key", "item_id", "w.start", shingles(F.col("w.tokens"), F.col("k")).alias("own_shingles"))
     prints = stored(cuts.distinct().withColumn("own_print", simhash(F.col("own_shingles"))), "window-prints")
     by_block = prints.select("doc_id", "row_key", "item_id", "start", F.explode(blocks(F.col("own_print"))).alias("b")).select("doc_id", "row_key", "item_id", "start", "b.block", "b.value")
     item_blocks = items.select("item_id", F.explode(blocks(F.col("item_print"))).alias("b")).select("item_id", "b.block", "b.value")

@@ -61,6 +61,26 @@ def test_against_brute_force(spark):
     assert clean.count() == sum(w.endswith("[])") for w in want)
 
 
+def test_reordered_passages_against_brute_force(spark):
+    rng = random.Random(11)
+    word = lambda: "".join(rng.choice("abcdeé") for _ in range(4))
+    items = [(i, " ".join(word() for _ in range(n))) for i, n in enumerate([60, 60, 100, 100, 40, 80])]
+    docs = []
+    for j in range(90):
+        ws = items[j % 6][1].split()
+        part = rng.randrange(1, len(ws) // 2)
+        ws = [ws[-part:] + ws[:-part], ws[part:] + ws[:part], ws[: len(ws) // 3] + ws[-part:] + ws[len(ws) // 3 : -part]][j // 6 % 3]
+        docs.append((j, " ".join([word() for _ in range(rng.choice([0, 1, 30, 70]))] + ws + [word() for _ in range(rng.choice([0, 1, 30, 70]))])))
+    for j, (n, moved) in enumerate(((60, 10), (100, 30))):
+        ws = items[2 * j][1].split()[:n]
+        docs.append((1000 + j, " ".join([word() for _ in range(50)] + ws[-moved:] + ws[:-moved] + [word() for _ in range(50)])))
+    docs.append((2000, " ".join(t for _, t in docs)))
+    got = dc.report(spark.createDataFrame(docs, "doc_id long, text string"), spark.createDataFrame(items, "item_id long, text string"))
+    want = brute(docs, items)
+    assert sorted(repr((r.doc_id, r.item_ids)) for r in got.collect()) == want
+    assert sum(not w.endswith("[])") for w in want) > 20
+
+
 def test_empty(spark):
     none = spark.createDataFrame([], "doc_id long, text string")
     docs = spark.createDataFrame([(1, "a b c d e f")], "doc_id long, text string")
