@@ -81,6 +81,18 @@ def test_reordered_passages_against_brute_force(spark):
     assert sum(not w.endswith("[])") for w in want) > 20
 
 
+def test_fillers_of_one_word_reach_verification(spark):
+    rng = random.Random(3)
+    word = lambda: "".join(rng.choice("abcdefgh") for _ in range(6))
+    items, docs = [], []
+    for i, (n, filler) in enumerate([(404, 44)] * 6 + [(204, 22)] * 4):
+        ws = [word() for _ in range(n)]
+        items.append((i, " ".join(ws)))
+        docs.append((i, " ".join(ws[:-filler] + ["0"] * filler)))
+    got = dc.report(spark.createDataFrame(docs, "doc_id long, text string"), spark.createDataFrame(items, "item_id long, text string"))
+    assert sorted((r.doc_id, r.item_ids) for r in got.collect()) == [(i, [i]) for i in range(10)]
+
+
 def test_empty(spark):
     none = spark.createDataFrame([], "doc_id long, text string")
     docs = spark.createDataFrame([(1, "a b c d e f")], "doc_id long, text string")
