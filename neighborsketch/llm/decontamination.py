@@ -18,7 +18,10 @@ are runs of letters and digits in lower case, so case and punctuation don't coun
    shingles, the copies of one shingle numbered, so that distance follows the weighted
    similarity however often shingles repeat. Fingerprints are cut into ``RADIUS + 1``
    blocks; two within ``RADIUS`` bits agree in one block at least, so a join by block
-   finds all of them, and a bit count keeps those within the radius. The radius is
+   finds all of them, and a bit count keeps those within the radius. This filters the
+   pairs of step 1 and finds no others: with blocks of two or three bits 98.8 % of
+   unrelated fingerprints agree in one, so that blocks alone, at this radius, would
+   hold nearly every window of the corpus against every item. The radius is
    4.8 standard deviations out for the least similarity: by the binomial law a window
    of just that similarity is lost with a chance of 1e-5, and of 3.4e-4 at worst, where
    four shingles meet an item of five.
