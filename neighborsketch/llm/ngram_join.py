@@ -555,7 +555,11 @@ def components(docs: DataFrame, *, k: int = WORDS, num: int = NUM, den: int = DE
     ties = near.join(heads.select(F.col("doc_id").alias("x"), F.col("head").alias("a")), "x").join(heads.select(F.col("doc_id").alias("y"), F.col("head").alias("b")), "y").select("a", "b").where("a != b")
     ties = stored(ties.distinct(), "ties")
     labels = _components(texts, ties, k, num, den)
-    named = heads.join(labels.withColumnRenamed("doc_id", "head"), "head", "left").select("doc_id", F.coalesce("label", "head").alias("own")).groupBy(F.col("doc_id").alias("__id")).agg(F.min("own").alias("own"))
+    named = stored(heads.join(labels.withColumnRenamed("doc_id", "head"), "head", "left").select("doc_id", F.coalesce("label", "head").alias("own")).distinct(), "set-names")
+    # the texts of one id tie their components, unlike though they may be
+    several = named.groupBy("doc_id").agg(F.min("own").alias("a"), F.max("own").alias("b")).where("a != b").select("doc_id", "a")
+    whole_ids = connected(named.join(several, "doc_id").select("a", F.col("own").alias("b"))).withColumnRenamed("doc_id", "own")
+    named = named.join(whole_ids, "own", "left").groupBy(F.col("doc_id").alias("__id")).agg(F.min(F.coalesce("label", "own")).alias("own"))
     return sets.join(named, F.col("doc_id") == F.col("__id"), "left").select("doc_id", F.col("n").alias("n_shingles"), F.coalesce("own", "doc_id").alias("component_id"))
 
 

@@ -68,6 +68,15 @@ def test_nulls_repeats_and_empty(spark):
     assert nj.components(docs.limit(0)).count() == 0
 
 
+def test_texts_of_one_id_tie_their_components(spark):
+    x, y, z = (" ".join(c + str(i) for i in range(30)) for c in "xyz")
+    rows = [(3, x), (4, y), (5, x), (5, y), (6, y + " w"), (7, z), (8, z), (8, y + " v"), (9, "alone")]
+    docs = spark.createDataFrame(rows, "doc_id long, text string")
+    got = {(r.doc_id, r.component_id) for r in nj.components(docs).collect()}
+    assert got == {(3, 3), (4, 3), (5, 3), (6, 3), (7, 3), (8, 3), (9, 9)}
+    assert sorted(r.doc_id for r in nj.keep_one(docs).collect()) == [3, 9]
+
+
 def test_traversal_finds_all_pairs(monkeypatch):
     monkeypatch.setattr(nj, "LEAF", 4)
     rng = np.random.default_rng(0)
