@@ -5,12 +5,12 @@ and each shard takes a contiguous run of them; the smallest capacity for which
 a greedy walk needs no more than the given number of shards is found by binary
 search, and the cuts are set within it, as evenly as it allows.
 
-The walk runs on the driver over *units*: groups whose start falls into the same
-cell of ``total / (shards * resolution)`` bytes are one unit. There are at most
-``shards * resolution`` units whatever the data's size, and a unit with more
-than one group is no larger than a cell plus its last group, so the capacity is
-within one cell (1/4096 of an ideal shard) plus a group of the group-level
-optimum, and equal to it while each group has a cell of its own.
+The walk runs on the driver, which knows the first and the last group start of each
+cell of ``total / (shards * resolution)`` bytes. What lies between these is unknown:
+cuts at known starts alone bound the capacity from above, cuts anywhere between
+them from below. While the bounds differ, only the cells that a cut could fall into
+are cut finer, so each round fetches about ``shards * resolution`` rows at most and
+the result is the optimum over all groups.
 
 Nothing unbounded meets in a task: a group is counted in salted parts, prefix
 sums run per bucket of about ``bucket_rows`` parts below a small table of bucket
@@ -89,6 +89,79 @@ def even_cuts(sizes: list[int], shards: int, capacity: int) -> list[int]:
     return cuts
 
 
+def walk(ends: list[int], between: list[bool], shards: int, capacity: int, anywhere: bool) -> tuple[bool, list[int]]:
+    """Whether a greedy walk fits, and its cuts. ``between[i]``: starts that aren't
+    known may lie after ``ends[i]``; ``anywhere``: a cut may fall on any byte there."""
+    at, cuts = 0, []
+    for _ in range(shards):
+        if at + capacity >= ends[-1]:
+            return True, cuts
+        i = bisect_right(ends, at + capacity) - 1
+        to = at + capacity if anywhere and between[i] else ends[i]
+        if to <= at:
+            break
+        at = to
+        cuts.append(at)
+    return False, cuts
+
+
+def least_capacity(ends: list[int], between: list[bool], shards: int, anywhere: bool) -> int:
+    low, high = -(-ends[-1] // shards), ends[-1]
+    while low < high:
+        middle = (low + high) // 2
+        if walk(ends, between, shards, middle, anywhere)[0]:
+            high = middle
+        else:
+            low = middle + 1
+    return low
+
+
+def open_gaps(ends: list[int], between: list[bool], shards: int, low: int, high: int) -> list[int]:
+    """The unknown stretches that a cut of a capacity from low to high may fall into."""
+    first, last = walk(ends, between, shards, low, False)[1], walk(ends, between, shards, high, True)[1]
+    found = set()
+    for k, a in enumerate(first):
+        b = last[k] if k < len(last) else ends[-1]
+        found.update(i for i in range(bisect_right(ends, a) - 1, bisect_right(ends, b)) if i < len(between) and between[i])
+    return sorted(found)
+
+
+def exact_cuts(placed: DataFrame, total: int, shards: int, resolution: int) -> list[tuple[int, int]]:
+    """``(start, row)`` of each shard's first group."""
+    cells = shards * resolution
+    cell = max(1, total // cells)
+    edges = [f("group_start") for f in (F.min, F.max)] + [f("group_row") for f in (F.min, F.max)]
+    held = placed.withColumn("cell", F.floor(F.col("group_start") / F.lit(cell)))
+    units = held.groupBy("cell").agg(*edges).collect()  # at most shards * resolution + 1 rows, whatever the input
+    if not units:
+        return [(0, 0)]
+    row_of, unknown = {}, set()
+
+    def learn(found: list[tuple[int, int, int, int]]) -> None:
+        for a, b, row_a, row_b in found:
+            row_of[a], row_of[b] = row_a, row_b
+            if b > a + 1:
+                unknown.add(a)
+
+    learn([tuple(u)[1:] for u in units])
+    while True:
+        ends = [*sorted(row_of), total]
+        between = [a in unknown for a in ends[:-1]]
+        low, high = (least_capacity(ends, between, shards, anywhere) for anywhere in (True, False))
+        if low == high:
+            break
+        gaps = open_gaps(ends, between, shards, low, high)
+        parts = max(2, cells // len(gaps))
+        rows = [(ends[i] // cell, ends[i], ends[i + 1], -(-(ends[i + 1] - ends[i]) // parts)) for i in gaps]
+        table_ = F.broadcast(placed.sparkSession.createDataFrame(rows, "cell long, a long, b long, width long"))
+        inside = held.join(table_, "cell").where("group_start > a and group_start < b")
+        found = inside.groupBy("a", F.floor((F.col("group_start") - F.col("a")) / F.col("width")).alias("part")).agg(*edges).collect()  # at most about shards * resolution rows
+        unknown -= {ends[i] for i in gaps}
+        learn([tuple(u)[2:] for u in found])
+    sizes = [b - a for a, b in zip(ends, ends[1:])]
+    return [(ends[i], row_of[ends[i]]) for i in even_cuts(sizes, shards, low)]
+
+
 def assign(docs: DataFrame, *, id_col: str = "doc_id", text_col: str = "text", shards: int = SHARDS, resolution: int = RESOLUTION, salts: int = SALTS) -> DataFrame:
     """``doc_id, size, text_crc32, law, shard, slot, grown_shard`` for each row."""
     text = whole(text_col)
@@ -114,11 +187,7 @@ def assign(docs: DataFrame, *, id_col: str = "doc_id", text_col: str = "text", s
         "group_start": F.min("start").over(Window.partitionBy("bucket", "group")),
         "group_row": F.min("row0").over(Window.partitionBy("bucket", "group")),
     }).select("group", "salt", "row0", "group_start", "group_row", "bytes"), "shard-places")
-    cell = max(1, total // (shards * resolution))
-    # at most shards * resolution + 1 rows, whatever the input
-    units = placed.groupBy(F.floor(F.col("group_start") / F.lit(cell)).alias("cell")).agg(F.sum("bytes"), F.min("group_start"), F.min("group_row")).orderBy("cell").collect()
-    _, cuts = minimax_cuts([u[1] for u in units], shards)
-    firsts = [(units[i][2], units[i][3]) for i in cuts] if units else [(0, 0)]
+    firsts = exact_cuts(placed, total, shards, resolution)
     starts = F.array(*[F.lit(int(b)).cast("long") for b, _ in firsts])
     first_rows = F.array(*[F.lit(int(r)).cast("long") for _, r in firsts])
     shard = F.size(F.filter(starts, lambda x: x <= F.col("group_start"))) - 1

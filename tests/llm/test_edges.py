@@ -102,6 +102,21 @@ def test_sharding_is_minimax(spark):
     assert sharding.assign(docs.limit(0)).count() == 0
 
 
+@pytest.mark.parametrize("resolution", [1, 3])
+def test_sharding_is_minimax_with_many_groups_a_cell(spark, resolution):
+    rng = random.Random(resolution)
+    rows = [(i, f"t{i} " + "x" * rng.randrange(60)) for i in range(900)]
+    got = sharding.assign(spark.createDataFrame(rows, "doc_id long, text string"), resolution=resolution).collect()
+    sizes = {hashlib.md5(t.encode()).hexdigest(): len(t.encode()) + 8 for _, t in rows}
+    capacity, _ = sharding.minimax_cuts([sizes[k] for k in sorted(sizes)], 24)
+    used, slots = Counter(), defaultdict(list)
+    for r in got:
+        used[r.shard] += r.size
+        slots[r.shard].append(r.slot)
+    assert max(used.values()) == capacity and len(used) <= 24
+    assert all(sorted(own) == list(range(len(own))) for own in slots.values())
+
+
 def test_minimax_against_all_partitions():
     from itertools import combinations
 
