@@ -377,7 +377,8 @@ _EVENT_CELLS = f"items AS MATERIALIZED ({_EVENT_ITEMS}), {sql.constants(2, 10, 2
 @query("stream_sketch_equals_batch", f"WITH {_EVENT_CELLS} SELECT cell, count(*)::BIGINT AS n FROM hits GROUP BY cell")
 def stream_sketch_equals_batch(spark, sf_dir):
     """The sketch of the event stream, kept in memory by a running query."""
-    source = stream.file_stream(spark, sf_dir, stream.EVENTS, pattern="events.parquet")
+    # as a pattern, the path may be one file or a folder of part files
+    source = stream.file_stream(spark, f"{sf_dir}/events.parque[t]", stream.EVENTS)
     running = stream.running_sketch(_event_items(source), _EVENT_P)
     at = spark.conf.get("spark.checkpoint.dir", None)
     folder = tempfile.mkdtemp(prefix="stream-") if at is None else f"{at}/stream-{id(running)}"

@@ -85,3 +85,15 @@ def test_query_stream_against_stored_sketch(spark, tmp_path):
     answers = stream.answer_stream(stream.file_stream(spark, str(tmp_path / "in"), SCHEMA), spark.read.parquet(str(tmp_path / "cells")), P)
     run(answers, "answers", "append", tmp_path / "c")
     assert spark.table("answers").count() == 3 * P.arrays
+
+
+def test_event_stream_of_one_file_or_of_part_files(spark, tmp_path):
+    from neighborsketch.catalog_experiments import stream_sketch_equals_batch
+
+    rows = spark.sql("SELECT id AS event_id, TIMESTAMP_NTZ '2024-01-01 00:00:00' AS ts, id % 7 AS user_id, 'a' AS event_type, 0.5D AS value, '' AS props FROM range(60)")
+    rows.repartition(3).write.parquet(str(tmp_path / "parts" / "events.parquet"))
+    rows.coalesce(1).write.parquet(str(tmp_path / "one"))
+    (tmp_path / "file").mkdir()
+    next((tmp_path / "one").glob("part-*")).rename(tmp_path / "file" / "events.parquet")
+    parts, file = (sorted(map(tuple, stream_sketch_equals_batch(spark, str(tmp_path / d)).collect())) for d in ("parts", "file"))
+    assert parts == file and sum(n for _, n in parts) == 60 * 2 * 2
