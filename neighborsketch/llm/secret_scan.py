@@ -12,7 +12,8 @@ offsets. Texts without any hint of a kind skip its passes.
 
 Ownership: the candidates' hashes are counted over the corpus by distinct
 repositories and distinct owners. A value that at least ``EXAMPLE_OWNERS`` owners
-have is a widely copied example; a value of fewer owners is live-looking. Base
+have is a widely copied example; a value of fewer owners is live-looking, whatever
+its number of repositories, which ``ownership`` counts but the decision leaves out. Base
 spans stay whatever their status; candidate spans join ``spans`` only if they are
 live-looking. Without finer columns a document's source stands for its owner and
 the document for its repository.
