@@ -23,12 +23,14 @@ def whole(text: Column | str) -> Column:
 
 def shared_dir(spark: SparkSession) -> str:
     """The folder that driver and executors share: ``spark.checkpoint.dir`` of
-    the session, or where that is unset (tests on one machine) a new folder."""
+    the session, or where that is unset and all runs on one machine, a new folder."""
     at = spark.conf.get("spark.checkpoint.dir", None)
     if at:
         return at.rstrip("/")
     known = spark.sparkContext.getCheckpointDir()
     if known is None:
+        if not spark.sparkContext.master.startswith("local"):
+            raise ValueError("set spark.checkpoint.dir to a folder that the driver and all executors share")
         spark.sparkContext.setCheckpointDir(tempfile.mkdtemp(prefix="shared-"))
         known = spark.sparkContext.getCheckpointDir()
     return known.rstrip("/")
@@ -43,6 +45,46 @@ def stored(df: DataFrame, name: str) -> DataFrame:
     return spark.read.schema(df.schema).parquet(path)
 
 
+def drop_stored(spark: SparkSession, df: DataFrame) -> None:
+    """Deletes a table that ``stored`` made, once nothing reads it any more."""
+    jvm = spark.sparkContext._jvm
+    for file in df.inputFiles()[:1]:
+        folder = jvm.org.apache.hadoop.fs.Path(file).getParent()
+        folder.getFileSystem(spark.sparkContext._jsc.hadoopConfiguration()).delete(folder, True)
+
+
+def free_name(df: DataFrame, stem: str) -> str:
+    """A column name that ``df`` doesn't have."""
+    taken = {c.lower() for c in df.columns}
+    while stem in taken:
+        stem += "_"
+    return stem
+
+
+def input_bytes(df: DataFrame) -> int:
+    return int(str(df._jdf.queryExecution().optimizedPlan().stats().sizeInBytes()))
+
+
+def salts_for(df: DataFrame, least: int = 32) -> int:
+    """A number of salts that grows with the input: one a GiB, ``least`` at least."""
+    return min(max(least, input_bytes(df) >> 30), 1 << 20)
+
+
+def join_hot(left: DataFrame, right: DataFrame, key: str, weight: str, most: int) -> DataFrame:
+    """``left`` joined to ``right`` (a row per key, written; ``weight``: how many rows
+    of ``left`` have it). The keys of greatest weight, at most ``most``, are broadcast
+    and so never meet in one task; the others join through a shuffle."""
+    step = F.floor(F.log2(F.greatest(F.col(weight), F.lit(1)))).cast("int")
+    sizes = {r.step: r.k for r in right.groupBy(step.alias("step")).agg(F.count(F.lit(1)).alias("k")).collect()}  # at most 64 rows
+    least, held = 64, 0
+    for s in sorted(sizes, reverse=True):
+        if held + sizes[s] > most:
+            break
+        least, held = s, held + sizes[s]
+    met = left.join(F.broadcast(right.where(step >= least)), key)
+    return met if held == sum(sizes.values()) else met.unionByName(left.join(right.where(step < least), key))
+
+
 def row_salt(column: str, salts: int) -> Column:
     """A salt that a row's own id decides, so that a rerun deals rows alike."""
     return F.pmod(F.xxhash64(F.col(column)), F.lit(salts)).cast("int")
