@@ -15,10 +15,11 @@ text instead; no such pair of texts is known, so that path is joined in only
 when the stored class table has one.
 
 Edge cases: a null text counts as empty, so null, empty and blank texts are one
-class; a null id loses every tie; a row that repeats the id and the text of the
-row that stays is a copy of it, and just one of them is marked kept; an empty
-table gives an empty result; other columns, whatever their names, are not read
-by :func:`report` and come back untouched from :func:`drop_copies`.
+class; a null id loses every tie; where ids repeat, the row with the most code
+points stays among them, of equally long ones the text of least hash, and of rows
+that repeat id and text just one, whichever its other columns; an empty table
+gives an empty result; other columns, whatever their names, are not read by
+:func:`report` and come back untouched from :func:`drop_copies`.
 """
 
 from __future__ import annotations
@@ -29,9 +30,7 @@ from pyspark.sql import Column, DataFrame, SparkSession
 from pyspark.sql import functions as F
 from pyspark.sql import Window
 
-from .common import WS, row_salt, stored, table, whole
-
-SALTS = 32
+from .common import WS, free_name, row_salt, salts_for, stored, table, whole
 
 # Rank of a row as one decimal, greatest wins: the number of code points, then
 # the smaller id. Decimals keep the aggregate on the hash path.
@@ -57,14 +56,14 @@ def _keyed(docs: DataFrame, id_col: str, text_col: str, salts: int) -> DataFrame
     text = whole(text_col)
     return docs.select(
         F.col(id_col).cast("long").alias("row_id"), row_salt(id_col, salts).alias("salt"),
-        F.length(text).alias("length"), normalised(text).alias("content"),
+        F.length(text).alias("length"), F.xxhash64(text).alias("mark"), normalised(text).alias("content"),
     ).withColumn("digest", F.unhex(F.sha2("content", 256)))
 
 
-def classes(docs: DataFrame, *, id_col: str = "doc_id", text_col: str = "text", salts: int = SALTS) -> DataFrame:
+def classes(docs: DataFrame, *, id_col: str = "doc_id", text_col: str = "text", salts: int | None = None) -> DataFrame:
     """One row per (class, salt) with the class's winner and size. ``content``
     is null unless another text shares the digest."""
-    keyed = _keyed(docs, id_col, text_col, salts)
+    keyed = _keyed(docs, id_col, text_col, salts or salts_for(docs))
     salted = keyed.groupBy("digest", "salt", "content").agg(F.max(_rank(F.col("length"), F.col("row_id"))).alias("rank"), F.count(F.lit(1)).alias("n"))
     alike = Window.partitionBy("digest", "content")
     same = Window.partitionBy("digest")
@@ -76,33 +75,44 @@ def classes(docs: DataFrame, *, id_col: str = "doc_id", text_col: str = "text",
     )
 
 
-def report(docs: DataFrame, *, id_col: str = "doc_id", text_col: str = "text", salts: int = SALTS) -> DataFrame:
-    """``doc_id, keep_id, group_size, kept, text_sha256``, one row per input row."""
+def _marked(docs: DataFrame, id_col: str, text_col: str, salts: int | None) -> DataFrame:
+    """``row_id, keep_id, size, kept, digest, mark, repeats``, one row per input row."""
+    salts = salts or salts_for(docs)
     found = stored(classes(docs, id_col=id_col, text_col=text_col, salts=salts), "copy-classes")
     keyed = _keyed(docs, id_col, text_col, salts)
     plain = found.where("content is null").drop("content")
-    if found.where("content is not null").isEmpty():
-        joined = keyed.drop("length", "content").join(plain, ["digest", "salt"])
-    else:
-        shared = found.where("content is not null")
-        joined = keyed.drop("length", "content").join(plain, ["digest", "salt"]).unionByName(
-            keyed.join(shared.withColumnRenamed("content", "own"), ["digest", "salt"]).where("content = own").drop("length", "content", "own"))
-    stays = F.col("row_id").eqNullSafe(F.col("keep_id"))
-    first = F.row_number().over(Window.partitionBy("digest", "salt", "keep_id", "row_id").orderBy(F.lit(1))) == 1
+    joined = keyed.drop("content").join(plain, ["digest", "salt"])
+    shared = found.where("content is not null")
+    if not shared.isEmpty():
+        joined = joined.unionByName(keyed.join(shared.withColumnRenamed("content", "own"), ["digest", "salt"]).where("content = own").drop("content", "own"))
+    own = Window.partitionBy("digest", "salt", "keep_id", "row_id")  # the salt is the id's, so all rows of an id are here
+    first = F.row_number().over(own.orderBy(F.desc("length"), "mark")) == 1
     return joined.select(
-        F.col("row_id").alias("doc_id"), "keep_id", F.col("size").alias("group_size"),
-        (stays & first).alias("kept"), F.lower(F.hex("digest")).alias("text_sha256"),
+        "row_id", "keep_id", "size", (F.col("row_id").eqNullSafe(F.col("keep_id")) & first).alias("kept"), "digest", "mark",
+        F.count(F.lit(1)).over(own).alias("repeats"),
     )
 
 
+def report(docs: DataFrame, *, id_col: str = "doc_id", text_col: str = "text", salts: int | None = None) -> DataFrame:
+    """``doc_id, keep_id, group_size, kept, text_sha256``, one row per input row."""
+    return _marked(docs, id_col, text_col, salts).select(
+        F.col("row_id").alias("doc_id"), "keep_id", F.col("size").alias("group_size"), "kept", F.lower(F.hex("digest")).alias("text_sha256"))
+
+
 def drop_copies(docs: DataFrame, *, id_col: str = "doc_id", text_col: str = "text") -> DataFrame:
-    """The rows that stay, with all their columns. Ids should be unique; rows
-    that repeat an id stay or go together, but for full repeats, of which one
-    stays."""
-    keep = report(docs, id_col=id_col, text_col=text_col).where("kept").select(F.col("doc_id").alias("__keep"), F.col("text_sha256").alias("__sha"))
-    sha = F.sha2(normalised(whole(text_col)), 256)
-    out = docs.join(keep, F.col(id_col).cast("long").eqNullSafe(F.col("__keep")) & (sha == F.col("__sha")), "left_semi")
-    return out.dropDuplicates([id_col, text_col])
+    """The rows that stay, one of each class, with all their columns. Of the winners
+    only ids and hashes travel; the texts meet them once."""
+    names = [free_name(docs, stem) for stem in ("kept_id", "kept_digest", "kept_mark")]
+    kept = stored(_marked(docs, id_col, text_col, None).where("kept").select(*[F.col(c).alias(n) for c, n in zip(("row_id", "digest", "mark"), names)], (F.col("repeats") > 1).alias("again")), "copies-kept")
+    digest = F.unhex(F.sha2(normalised(whole(text_col)), 256))
+
+    def meet(winners: DataFrame) -> DataFrame:
+        same = F.col(id_col).cast("long").eqNullSafe(F.col(names[0])) & (digest == F.col(names[1])) & (F.xxhash64(whole(text_col)) == F.col(names[2]))
+        return docs.join(winners.drop("again"), same, "left_semi")
+
+    out = meet(kept.where("not again"))
+    again = kept.where("again")
+    return out if again.isEmpty() else out.unionByName(meet(again).dropDuplicates([id_col, text_col]))
 
 
 def op1_exact_dedup(spark: SparkSession, sf_dir: str) -> DataFrame:
