@@ -8,8 +8,9 @@ needs very few doublings until every prefix's function is constant: the state
 before each code point then tells by a table whether a pre-token starts there.
 The slices between the starts go through a bounded cache of merged pairs.
 
-Decoding looks ids up in one blob of all token bytes; each text's number of ids
-and token byte offsets are kept, so a whole batch decodes with array operations.
+Encoding keeps the byte offset at which each token ends in its text; decoding puts
+the tokens' bytes, from one blob, at these offsets, a whole batch with array
+operations, and refuses offsets that don't fit the ids.
 
 Edge cases: null counts as empty, and an empty text has no ids; texts of any
 length are encoded whole, in groups of rows whose size is bounded unless a
@@ -233,20 +234,31 @@ class Codec:
         first = np.searchsorted(starts, begins).tolist() + [len(starts)]
         return [b"".join(merged[a:b]) for a, b in zip(first, first[1:])]
 
-    def decode(self, encoded: list[bytes]) -> list[bytes]:
+    def ends(self, encoded: list[bytes]) -> list[np.ndarray]:
+        """The byte offset in its text at which each token ends."""
+        return [np.cumsum(self.length[np.frombuffer(e, "<u4")]) for e in encoded]
+
+    def decode(self, encoded: list[bytes], ends: list[np.ndarray] | None = None) -> list[bytes]:
+        """The texts' bytes from ids and the tokens' offsets."""
+        ends = self.ends(encoded) if ends is None else ends
         ids = np.frombuffer(b"".join(encoded), "<u4").astype(np.int64)
+        total = np.cumsum([0, *[int(e[-1]) if len(e) else 0 for e in ends]])
+        stops = np.concatenate([np.zeros(0, np.int64), *[e + t for e, t in zip(ends, total)]])
         size = self.length[ids]
-        stops = np.cumsum(size)
-        source = np.arange(stops[-1] if len(stops) else 0, dtype=np.int64) + np.repeat(self.offset[ids] - (stops - size), size)
+        if len(stops) != len(ids) or (np.diff(stops, prepend=0) != size).any():
+            raise ValueError("the offsets don't fit the ids")
+        source = np.arange(total[-1], dtype=np.int64) + np.repeat(self.offset[ids] - (stops - size), size)
         data = self.blob[source].tobytes()
-        counts = np.cumsum([len(e) // 4 for e in encoded])
-        edges = [0, *[int(stops[c - 1]) if c else 0 for c in counts]]
-        return [data[a:b] for a, b in zip(edges, edges[1:])]
+        return [data[a:b] for a, b in zip(total.tolist(), total[1:].tolist())]
+
+
+def parse_ranks(raw: bytes) -> dict[bytes, int]:
+    return {base64.b64decode(a): int(b) for a, b in map(bytes.split, raw.splitlines())}
 
 
 def load_ranks(path: str) -> dict[bytes, int]:
-    with open(path, "rb") as lines:
-        return {base64.b64decode(a): int(b) for a, b in map(bytes.split, lines)}
+    with open(path, "rb") as file:
+        return parse_ranks(file.read())
 
 
 def groups(texts: list[str], most: int = GROUP_CHARS) -> Iterator[tuple[int, int]]:
@@ -261,16 +273,16 @@ def groups(texts: list[str], most: int = GROUP_CHARS) -> Iterator[tuple[int, int
         yield begin, len(texts)
 
 
-_CODECS: dict[int, Codec] = {}
+_CODECS: dict[str, Codec] = {}
 
 
-def _codec(shipped) -> Codec:
-    """One codec per worker process, so that its cache outlives a task."""
-    key = shipped.id if hasattr(shipped, "id") else id(shipped)
-    if key not in _CODECS:
+def _codec(digest: str, shipped) -> Codec:
+    """One codec per worker process, so that its cache outlives a task; known by the
+    digest of its vocabulary."""
+    if digest not in _CODECS:
         _CODECS.clear()
-        _CODECS[key] = Codec(shipped.value)
-    return _CODECS[key]
+        _CODECS[digest] = Codec(shipped.value)
+    return _CODECS[digest]
 
 
 def _rows(batches: Iterable[pa.RecordBatch]) -> Iterator[tuple[pa.Array, list[str]]]:
@@ -282,44 +294,50 @@ def _rows(batches: Iterable[pa.RecordBatch]) -> Iterator[tuple[pa.Array, list[st
                 yield part.column(0).slice(a, b - a), texts[a:b]
 
 
-def _ranks(spark: SparkSession, path: str):
-    return spark.sparkContext.broadcast(load_ranks(path))  # the vocabulary: a fixed size
+def _ranks(spark: SparkSession, path: str) -> tuple:
+    with open(path, "rb") as file:
+        raw = file.read()
+    return hashlib.sha256(raw).hexdigest(), spark.sparkContext.broadcast(parse_ranks(raw))  # the vocabulary: a fixed size
 
 
 def encode(docs: DataFrame, path: str, *, id_col: str = "doc_id", text_col: str = "text") -> DataFrame:
-    """``doc_id, ids`` (array<int>), in the order of the text."""
-    shipped = _ranks(docs.sparkSession, path)
+    """``doc_id, ids, ends``: ids in the order of the text, and the byte offset at which
+    each token ends."""
+    digest, shipped = _ranks(docs.sparkSession, path)
 
     def run(batches):
+        codec = _codec(digest, shipped)
         for ids, texts in _rows(batches):
-            found = [np.frombuffer(e, "<i4") for e in _codec(shipped).encode(texts)]
-            yield pa.record_batch([ids, pa.array(found, pa.list_(pa.int32()))], ["doc_id", "ids"])
+            found = codec.encode(texts)
+            yield pa.record_batch([ids, pa.array([np.frombuffer(e, "<i4") for e in found], pa.list_(pa.int32())), pa.array(codec.ends(found), pa.list_(pa.int64()))], ["doc_id", "ids", "ends"])
 
-    return docs.select(F.col(id_col).cast("long").alias("doc_id"), F.col(text_col).cast("string").alias("text")).mapInArrow(run, "doc_id long, ids array<int>")
+    return docs.select(F.col(id_col).cast("long").alias("doc_id"), F.col(text_col).cast("string").alias("text")).mapInArrow(run, "doc_id long, ids array<int>, ends array<long>")
 
 
 def decode(encoded: DataFrame, path: str) -> DataFrame:
-    """``doc_id, text`` from ``doc_id, ids``; bytes that aren't UTF-8 become U+FFFD."""
-    shipped = _ranks(encoded.sparkSession, path)
+    """``doc_id, text`` from ``doc_id, ids, ends``; bytes that aren't UTF-8 become U+FFFD."""
+    digest, shipped = _ranks(encoded.sparkSession, path)
 
     def run(batches):
+        codec = _codec(digest, shipped)
         for batch in batches:
             raw = [np.array(i or [], "<u4").tobytes() for i in batch.column(1).to_pylist()]
-            yield pa.record_batch([batch.column(0), pa.array([b.decode("utf-8", "replace") for b in _codec(shipped).decode(raw)], pa.string())], ["doc_id", "text"])
+            ends = [np.array(e or [], np.int64) for e in batch.column(2).to_pylist()]
+            yield pa.record_batch([batch.column(0), pa.array([b.decode("utf-8", "replace") for b in codec.decode(raw, ends)], pa.string())], ["doc_id", "text"])
 
-    return encoded.select("doc_id", "ids").mapInArrow(run, "doc_id long, text string")
+    return encoded.select("doc_id", "ids", "ends").mapInArrow(run, "doc_id long, text string")
 
 
 def digest(docs: DataFrame, path: str, *, id_col: str = "doc_id", text_col: str = "text") -> DataFrame:
     """``doc_id, n_tokens, ids_sha256, decoded_sha256``: encodes, then decodes
-    the ids, in one pass."""
-    shipped = _ranks(docs.sparkSession, path)
+    the ids by the retained offsets, in one pass."""
+    name, shipped = _ranks(docs.sparkSession, path)
 
     def run(batches):
-        codec = _codec(shipped)
+        codec = _codec(name, shipped)
         for ids, texts in _rows(batches):
             encoded = codec.encode(texts)
-            decoded = codec.decode(encoded)
+            decoded = codec.decode(encoded, codec.ends(encoded))
             yield pa.record_batch([
                 ids, pa.array([len(e) // 4 for e in encoded], pa.int64()),
                 pa.array([hashlib.sha256(e).hexdigest() for e in encoded], pa.string()),
