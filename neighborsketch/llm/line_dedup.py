@@ -11,19 +11,20 @@ documents.
 
 To clean documents, all their lines are held against the filters, and the few
 that may be common against the exact table. The filters travel to the executors
-only if all shards together are below ``FILTER_BYTES``, and the exact rows only
-if there are at most ``BROADCAST_KEYS``; beyond these sizes all lines join the
-exact table through a shuffle, where skewed keys are split at run time.
+if all shards together are below ``FILTER_BYTES``; beyond that the lines' digests
+travel to their shard's filter, a shard's lines dealt over ``SALTS`` copies of it. Of
+the exact rows the most frequent ones, at most ``BROADCAST_KEYS``, are broadcast and
+the others join through a shuffle. An index that grows beyond twice its number of
+shards is dealt out anew.
 
 Edge cases: a null or empty text is one empty line, whose key has no code point
 and never goes; blank lines stay too; repeated rows count as documents of their
-own; null ids are fine; lines of any length and texts of any number of lines are
+own; deleting documents that were never inserted is an error; null ids are fine; lines of any length and texts of any number of lines are
 handled whole; an empty table gives an empty result; other columns are not read.
 """
 
 from __future__ import annotations
 
-import hashlib
 from collections.abc import Iterable, Iterator
 from dataclasses import dataclass
 
@@ -33,10 +34,11 @@ import pyarrow as pa
 from pyspark.sql import Column, DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from .common import WS, stored, table, whole
+from .common import WS, join_hot, stored, table, whole
 
 THRESHOLD = 10
 SHARD_KEYS = 16_384
+SALTS = 32
 SLOTS = 4
 FILTER_BYTES = 32 << 20
 BROADCAST_KEYS = 100_000
@@ -155,7 +157,11 @@ class LineIndex:
 
     @classmethod
     def build(cls, docs: DataFrame, *, text_col: str = "text", threshold: int = THRESHOLD) -> LineIndex:
-        counts = stored(reference_counts(docs, text_col=text_col), "line-counts")
+        return cls.of(stored(reference_counts(docs, text_col=text_col), "line-counts"), threshold)
+
+    @classmethod
+    def of(cls, counts: DataFrame, threshold: int = THRESHOLD) -> LineIndex:
+        """An index from its exact table, with as many shards as that needs."""
         common = counts.where(F.col("n_docs") >= threshold)
         n_shards = max(1, -(-common.count() // SHARD_KEYS))
 
@@ -169,7 +175,11 @@ class LineIndex:
     def _changed(self, docs: DataFrame, sign: int, text_col: str) -> LineIndex:
         delta = reference_counts(docs, text_col=text_col).select("digest", (sign * F.col("n_docs")).alias("n_docs"))
         delta = stored(delta, "line-delta")
-        counts = stored(self.counts.unionByName(delta).groupBy("digest").agg(F.sum("n_docs").alias("n_docs")).where("n_docs > 0"), "line-counts")
+        counts = stored(self.counts.unionByName(delta).groupBy("digest").agg(F.sum("n_docs").alias("n_docs")).where("n_docs != 0"), "line-counts")
+        if sign < 0 and not counts.where("n_docs < 0").isEmpty():
+            raise ValueError("some of these documents are not in the index")
+        if counts.where(F.col("n_docs") >= self.threshold).count() > 2 * self.n_shards * SHARD_KEYS:
+            return LineIndex.of(counts, self.threshold)
         before, after = F.coalesce(F.col("b.n_docs"), F.lit(0)), F.coalesce(F.col("a.n_docs"), F.lit(0))
         crossed = (
             delta.alias("d").join(self.counts.alias("b"), F.col("d.digest") == F.col("b.digest"), "left").join(counts.alias("a"), F.col("d.digest") == F.col("a.digest"), "left")
@@ -204,7 +214,7 @@ class LineIndex:
         """The lines whose digest some filter may hold: all that are common, and few others."""
         size = self.filters.agg(F.coalesce(F.sum(F.length("data")), F.lit(0))).first()[0]
         if size > FILTER_BYTES:
-            return lines
+            return self._by_shard(lines)
         shipped = lines.sparkSession.sparkContext.broadcast({r.shard: r.data for r in self.filters.collect()})
         n_shards = self.n_shards
 
@@ -223,16 +233,39 @@ class LineIndex:
         return lines.mapInArrow(probe, lines.schema)
 
 
+    def _by_shard(self, lines: DataFrame) -> DataFrame:
+        """The same where the filters don't fit: in every (shard, salt) the filter comes
+        first, then the digests that are held against it, one batch at a time."""
+        names = lines.columns
+        salt = F.pmod(F.xxhash64(*[c for c in names if c != "digest"]), F.lit(SALTS)).cast("int")
+        given = lines.select("*", _shard(self.n_shards).alias("shard"), salt.alias("salt"), F.lit(None).cast("binary").alias("data"))
+        empty = [F.lit(None).cast(lines.schema[c].dataType).alias(c) for c in names]
+        copies = self.filters.select(*empty, "shard", F.explode(F.sequence(F.lit(0), F.lit(SALTS - 1))).alias("salt"), "data")
+        dealt = given.unionByName(copies).repartition("shard", "salt").sortWithinPartitions("shard", "salt", F.col("data").isNull())
+
+        def probe(batches: Iterable[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+            held, own = None, None
+            for batch in batches:
+                data, shards = batch.column("data"), batch.column("shard").to_numpy(zero_copy_only=False)
+                digests, hit, at = batch.column("digest"), np.zeros(batch.num_rows, bool), 0
+                for to in [*np.flatnonzero(data.is_valid().to_numpy(zero_copy_only=False)).tolist(), batch.num_rows]:
+                    if held is not None and to > at:
+                        hit[at:to] = held.contains(_digests(digests.slice(at, to - at).to_pylist())) & (shards[at:to] == own)
+                    if to < batch.num_rows:
+                        held, own, at = CuckooFilter.from_bytes(data[to].as_py()), shards[to], to + 1
+                yield batch.filter(pa.array(hit)).select(names)
+
+        return dealt.mapInArrow(probe, lines.schema)
+
+
 def clean(docs: DataFrame, index: LineIndex, *, id_col: str = "doc_id", text_col: str = "text") -> DataFrame:
     """``doc_id, n_lines, n_dropped, kept`` with the text that stays."""
     keyed = docs.select(F.col(id_col).cast("long").alias("doc_id"), whole(text_col).alias("text")).withColumn("row_key", F.xxhash64("text"))
     lines = keyed.select("doc_id", "row_key", F.posexplode(line_digests(F.col("text"))).alias("pos", "digest")).where("digest is not null")
-    exact = index.counts.where(F.col("n_docs") >= index.threshold).select("digest")
-    if exact.count() <= BROADCAST_KEYS:
-        exact = F.broadcast(exact)
-    dropped = index.maybe_common(lines).join(exact, "digest").groupBy("doc_id", "row_key").agg(F.collect_set("pos").alias("dropped"))
-    dropped = dropped.withColumnRenamed("doc_id", "__id").withColumnRenamed("row_key", "__key")
-    both = keyed.join(dropped, F.col("doc_id").eqNullSafe(F.col("__id")) & (F.col("row_key") == F.col("__key")), "left").select("doc_id", "text", "dropped")
+    exact = index.counts.where(F.col("n_docs") >= index.threshold)
+    dropped = join_hot(index.maybe_common(lines), exact, "digest", "n_docs", BROADCAST_KEYS).groupBy("doc_id", "row_key").agg(F.collect_set("pos").alias("dropped"))
+    dropped = dropped.withColumnsRenamed({"doc_id": "drop_id", "row_key": "drop_key"})
+    both = keyed.join(dropped, F.col("doc_id").eqNullSafe(F.col("drop_id")) & (F.col("row_key") == F.col("drop_key")), "left").select("doc_id", "text", "dropped")
 
     def rewrite(batches: Iterable[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for whole_batch in batches:
@@ -249,10 +282,6 @@ def clean(docs: DataFrame, index: LineIndex, *, id_col: str = "doc_id", text_col
     return both.mapInArrow(rewrite, "doc_id long, n_lines long, n_dropped long, kept string")
 
 
-def sha(text: str) -> str:
-    return hashlib.sha256(text.encode()).hexdigest()
-
-
 def op6_line_dedup(spark: SparkSession, sf_dir: str) -> DataFrame:
     docs = table(spark, sf_dir, "documents")
     return clean(docs, LineIndex.build(docs)).select("doc_id", "n_lines", "n_dropped", F.sha2("kept", 256).alias("kept_sha256"))
