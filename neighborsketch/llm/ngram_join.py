@@ -18,7 +18,7 @@ result is each text's connected component. No link between different sets is los
    number of such small parts would reach ``m - d`` makes the keys of all its parts,
    with all its shingles, as well; two such texts meet there. Texts with a common
    key are tied to the smallest id among them, first within a chunk and then
-   globally: one row per text and key at most, however hot the key. The connected
+   globally: one row per chunk and key at most, however hot the key. The connected
    parts of these ties are the neighbourhoods.
 3. *Signature trees.* A neighbourhood is dealt into chunks of about ``CHUNK``
    texts. Each chunk gets a tree whose nodes hold the OR (and the AND) of their
@@ -36,7 +36,8 @@ Edge cases: null, empty and blank texts have empty sets and link with nothing;
 null ids link with nothing and have a null component; ids should be unique: rows
 that repeat an id are one node, linked by the texts of either; equal similarity
 to the threshold links; an empty table gives an empty result; texts are read
-whole; other columns are not read.
+whole; other columns, whatever their names, are not read by :func:`components`
+and come back untouched from :func:`keep_one`.
 """
 
 from __future__ import annotations
@@ -52,7 +53,7 @@ from pyspark.sql import functions as F
 from pyspark.sql import Window
 
 from .byte_bpe import _rows
-from .common import row_salt, stored, table
+from .common import free_name, row_salt, stored, table
 
 WORDS, NUM, DEN = 3, 9, 10
 CHUNK = 512
@@ -488,6 +489,16 @@ def _pieces(size: Column) -> Column:
     return F.greatest(F.lit(1), F.ceil(size / CHUNK)).cast("int")
 
 
+def _few(df: DataFrame) -> DataFrame:
+    """A written table, broadcast if it has at most ``BROADCAST_IDS`` rows."""
+    return F.broadcast(df) if df.count() <= BROADCAST_IDS else df
+
+
+def _sizes(rows: DataFrame, least: int) -> DataFrame:
+    """``hood, size`` of the neighbourhoods with more than ``least`` texts."""
+    return _few(stored(rows.groupBy("hood").agg(F.count(F.lit(1)).alias("size")).where(F.col("size") > least), "hood-sizes"))
+
+
 def _piece(seed: int) -> Column:
     return F.pmod(F.xxhash64("doc_id", F.lit(seed)), F.col("pieces")).cast("int")
 
@@ -495,8 +506,7 @@ def _piece(seed: int) -> Column:
 def _components(texts: DataFrame, ties: DataFrame, k: int, num: int, den: int) -> DataFrame:
     """``doc_id, label`` of the texts that stand in some tie."""
     hoods = stored(connected(ties).select("doc_id", F.col("label").alias("hood")), "hoods")
-    sizes = hoods.groupBy("hood").agg(F.count(F.lit(1)).alias("size"))
-    members = stored(hoods.join(sizes, "hood").select("doc_id", "hood", _pieces(F.col("size")).alias("pieces")), "members")
+    members = stored(hoods.join(_sizes(hoods, CHUNK), "hood", "left").select("doc_id", "hood", _pieces(F.coalesce("size", F.lit(1))).alias("pieces")), "members")
     found, heads, turn = None, members, 0
     while True:
         tasks = heads.select("doc_id", F.struct("hood", _piece(turn).alias("piece")).alias("t")).select("doc_id", F.xxhash64("t", F.lit(turn)).alias("task"), F.lit(0).alias("side"), F.col("doc_id").alias("label"))
@@ -506,10 +516,9 @@ def _components(texts: DataFrame, ties: DataFrame, k: int, num: int, den: int) -
             break
         labels = connected(found)
         # one text for each component so far of the neighbourhoods that had several chunks
-        rest = heads.where("pieces > 1").join(labels, "doc_id", "left").where("label is null or label = doc_id").select("doc_id", "hood")
+        rest = stored(heads.where("pieces > 1").join(labels, "doc_id", "left").where("label is null or label = doc_id").select("doc_id", "hood"), "heads")
         before = heads.where("pieces > 1").count()
-        sizes = rest.groupBy("hood").agg(F.count(F.lit(1)).alias("size"))
-        heads = stored(rest.join(sizes, "hood").where("size > 1").select("doc_id", "hood", _pieces(F.col("size")).alias("pieces")), "members")
+        heads = stored(rest.join(_sizes(rest, 1), "hood").select("doc_id", "hood", _pieces(F.col("size")).alias("pieces")), "members")
         after = heads.count()
         if after == 0 or after > 0.9 * before:
             break
@@ -518,10 +527,10 @@ def _components(texts: DataFrame, ties: DataFrame, k: int, num: int, den: int) -
     if large.isEmpty():
         return connected(found)
     labels = connected(found)
-    state = large.join(labels, "doc_id", "left").select("doc_id", "hood", "pieces", F.coalesce("label", "doc_id").alias("label"))
+    state = stored(large.join(labels, "doc_id", "left").select("doc_id", "hood", "pieces", F.coalesce("label", "doc_id").alias("label")), "hood-labels")
     counts = state.groupBy("hood", "label").agg(F.count(F.lit(1)).alias("n"))
     main = counts.groupBy("hood").agg(F.max(F.struct("n", "label")).alias("top"), F.count(F.lit(1)).alias("labels"), F.sum("n").alias("all")).where("labels > 1").select("hood", F.col("top.label").alias("main"), _pieces(F.col("all") - F.col("top.n")).alias("outer"))
-    open_state = stored(state.join(main, "hood"), "open-hoods")
+    open_state = stored(state.join(_few(stored(main, "main-labels")), "hood"), "open-hoods")
     if open_state.isEmpty():
         return labels
     outside = open_state.where("label != main").select("doc_id", "label", "hood", F.pmod(F.xxhash64("doc_id", F.lit(97)), F.col("outer")).cast("int").alias("o"), F.explode(F.sequence(F.lit(0), F.col("pieces") - 1)).alias("p"), F.lit(0).alias("side"))
@@ -565,8 +574,9 @@ def components(docs: DataFrame, *, k: int = WORDS, num: int = NUM, den: int = DE
 
 def keep_one(docs: DataFrame, *, k: int = 5, num: int = 4, den: int = 5, id_col: str = "doc_id", text_col: str = "text") -> DataFrame:
     """The rows whose id is the smallest of their component, with all columns."""
-    keep = components(docs, k=k, num=num, den=den, id_col=id_col, text_col=text_col).where("doc_id <=> component_id").select(F.col("doc_id").alias("__keep")).distinct()
-    return docs.join(keep, F.col(id_col).cast("long").eqNullSafe(F.col("__keep")), "left_semi")
+    name = free_name(docs, "kept_id")
+    keep = components(docs, k=k, num=num, den=den, id_col=id_col, text_col=text_col).where("doc_id <=> component_id").select(F.col("doc_id").alias(name)).distinct()
+    return docs.join(keep, F.col(id_col).cast("long").eqNullSafe(F.col(name)), "left_semi")
 
 
 def op8_ngram_join(spark: SparkSession, sf_dir: str) -> DataFrame:
