@@ -13,8 +13,9 @@ are cut finer, so each round fetches about ``shards * resolution`` rows at most
 the result is the optimum over all groups.
 
 Nothing unbounded meets in a task: a group is counted in salted parts, prefix
-sums run per bucket of about ``bucket_rows`` parts below a small table of bucket
-totals, and rows are numbered within their own (group, salt).
+sums run per bucket of about ``BUCKET_ROWS`` parts, below them over the totals of the
+buckets with the same first digits and then over those digits' totals, and rows are
+numbered within their own (group, salt).
 
 Edge cases: null text counts as empty with 8 bytes; rows that repeat stay in one
 group and get slots of their own; null ids sort first in their group; an empty
@@ -30,12 +31,12 @@ from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 from pyspark.sql import Window
 
-from .common import row_salt, stored, table, whole
+from .common import row_salt, salts_for, stored, table, whole
 
 SHARDS = 24
 RESOLUTION = 4096
-SALTS = 32
 BUCKET_ROWS = 20_000
+TOP_DIGITS = 4
 
 
 def greedy_cuts(sizes: list[int], capacity: int) -> list[int]:
@@ -162,12 +163,26 @@ def exact_cuts(placed: DataFrame, total: int, shards: int, resolution: int) -> l
     return [(ends[i], row_of[ends[i]]) for i in even_cuts(sizes, shards, low)]
 
 
-def assign(docs: DataFrame, *, id_col: str = "doc_id", text_col: str = "text", shards: int = SHARDS, resolution: int = RESOLUTION, salts: int = SALTS) -> DataFrame:
+def _ahead(totals: DataFrame, digits: int) -> DataFrame:
+    """``bucket, bytes_ahead, rows_ahead`` of ``bucket, b, k``: what lies before each
+    bucket. One task orders at most ``16 ** TOP_DIGITS`` rows, whatever the input."""
+    sums = lambda w: [F.coalesce(F.sum(c).over(w.orderBy("bucket").rowsBetween(Window.unboundedPreceding, -1)), F.lit(0)) for c in ("b", "k")]
+    if digits <= TOP_DIGITS:
+        b, k = sums(Window.partitionBy(F.lit(0)))
+        return totals.select("bucket", b.alias("bytes_ahead"), k.alias("rows_ahead"))
+    top = F.substring("bucket", 1, digits - TOP_DIGITS)
+    above = _ahead(totals.groupBy(top.alias("bucket")).agg(F.sum("b").alias("b"), F.sum("k").alias("k")), digits - TOP_DIGITS)
+    above = above.select(F.col("bucket").alias("top"), F.col("bytes_ahead").alias("bytes_above"), F.col("rows_ahead").alias("rows_above"))
+    b, k = sums(Window.partitionBy("top"))
+    return totals.withColumn("top", top).select("bucket", "top", b.alias("b"), k.alias("k")).join(above, "top").select("bucket", (F.col("b") + F.col("bytes_above")).alias("bytes_ahead"), (F.col("k") + F.col("rows_above")).alias("rows_ahead"))
+
+
+def assign(docs: DataFrame, *, id_col: str = "doc_id", text_col: str = "text", shards: int = SHARDS, resolution: int = RESOLUTION, salts: int | None = None) -> DataFrame:
     """``doc_id, size, text_crc32, law, shard, slot, grown_shard`` for each row."""
     text = whole(text_col)
     rows = docs.select(
         F.col(id_col).alias("doc_id"), (F.octet_length(text) + 8).cast("long").alias("size"),
-        F.crc32(text.cast("binary")).alias("text_crc32"), F.md5(text.cast("binary")).alias("group"), row_salt(id_col, salts).alias("salt"),
+        F.crc32(text.cast("binary")).alias("text_crc32"), F.md5(text.cast("binary")).alias("group"), row_salt(id_col, salts or salts_for(docs)).alias("salt"),
     )
     parts = stored(rows.groupBy("group", "salt").agg(F.sum("size").alias("bytes"), F.count(F.lit(1)).alias("n")), "shard-parts")
     n_parts, total = parts.agg(F.count(F.lit(1)), F.coalesce(F.sum("bytes"), F.lit(0))).first()
@@ -175,9 +190,7 @@ def assign(docs: DataFrame, *, id_col: str = "doc_id", text_col: str = "text", s
     while 16**digits * BUCKET_ROWS < n_parts:
         digits += 1
     parts = parts.withColumn("bucket", F.substring("group", 1, digits))
-    ahead = Window.orderBy("bucket").rowsBetween(Window.unboundedPreceding, -1)
-    totals = parts.groupBy("bucket").agg(F.sum("bytes").alias("b"), F.sum("n").alias("k")).select(
-        "bucket", F.coalesce(F.sum("b").over(ahead), F.lit(0)).alias("bytes_ahead"), F.coalesce(F.sum("k").over(ahead), F.lit(0)).alias("rows_ahead"))
+    totals = _ahead(parts.groupBy("bucket").agg(F.sum("bytes").alias("b"), F.sum("n").alias("k")), digits)
     inside = Window.partitionBy("bucket").orderBy("group", "salt").rowsBetween(Window.unboundedPreceding, -1)
     placed = parts.join(totals, "bucket").withColumns({
         "start": F.col("bytes_ahead") + F.coalesce(F.sum("bytes").over(inside), F.lit(0)),
