@@ -10,8 +10,9 @@ With up to five languages the code is exhaustive (all splits); beyond that it ha
 ``15 * ceil(log2 languages)`` random bits, drawn a number of times to keep the
 code with the largest least distance.
 
-Training takes at most ``TRAIN_ROWS`` rows, shared evenly among the languages:
-those with the smallest hash of their id. Whole texts are read, for learning and
+Training takes at most ``TRAIN_ROWS`` rows, shared evenly among the languages, of
+which the ``LANGUAGES`` most frequent ones are learned: those with the smallest hash
+of their id. Whole texts are read, for learning and
 for prediction. Language, source and id are never inputs of a prediction.
 
 Edge cases: a null text or one without a letter is ``und`` with score 0, as is
@@ -38,6 +39,7 @@ from .byte_bpe import _rows
 from .common import hash_share, table
 
 TRAIN_ROWS = 2000
+LANGUAGES = 256
 DIMS = 2048
 STEPS, RATE, RIDGE = 200, 0.05, 1e-3
 AMBIGUOUS = 0.2
@@ -90,7 +92,8 @@ def codewords(k: int) -> np.ndarray:
     for _ in range(64):
         code = np.where(rng.random((k, 15 * int(np.ceil(np.log2(k))))) < 0.5, 1.0, -1.0)
         code = code[:, np.abs(code.sum(0)) < k]
-        apart = min(int((a != b).sum()) for a, b in combinations(code, 2))
+        agree = code @ code.T
+        apart = int(code.shape[1] - agree[~np.eye(k, dtype=bool)].max()) // 2
         if apart > most:
             best, most = code, apart
     return best
@@ -151,7 +154,7 @@ def held_out(row_id: Column) -> Column:
 
 def train(docs: DataFrame, *, rows: int = TRAIN_ROWS) -> Model:
     usable = docs.where("text is not null and lang is not null and doc_id is not null").where(~held_out(F.col("doc_id")))
-    counts = usable.groupBy("lang").agg(F.count(F.lit(1)).alias("texts"))  # a row per language
+    counts = usable.groupBy("lang").agg(F.count(F.lit(1)).alias("texts")).orderBy(F.desc("texts"), "lang").limit(LANGUAGES)
     each = max(1, rows // max(1, counts.count()))
     shares = counts.select("lang", F.least(F.lit(1.0), F.lit(2.0 * each) / F.col("texts")).alias("share"))
     by_hash = Window.partitionBy("lang").orderBy(F.xxhash64("doc_id"), "doc_id")
@@ -159,14 +162,15 @@ def train(docs: DataFrame, *, rows: int = TRAIN_ROWS) -> Model:
     chosen = near.withColumn("at", F.row_number().over(by_hash)).where(F.col("at") <= each).select(F.col("doc_id").alias("own"), F.col("lang").alias("name"))
 
     def run(batches: Iterable[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        for names, texts in _rows(batches):
+        for rows_, texts in _rows(batches):
             x, letters = grams(texts)
-            part = pa.record_batch([names, pa.array([r.tobytes() for r in x], pa.binary()), pa.array(letters)], ["name", "x", "letters"])
-            yield part.filter(part.column(2)).select(["name", "x"])
+            part = pa.record_batch([rows_, pa.array([r.tobytes() for r in x], pa.binary()), pa.array(letters)], ["row", "x", "letters"])
+            yield part.filter(part.column(2)).select(["row", "x"])
 
-    # at most `rows` ids are broadcast and at most about `rows` vectors come back
-    learned = docs.select("doc_id", "text").join(F.broadcast(chosen), F.col("doc_id") == F.col("own")).select("name", "text")
-    got = learned.mapInArrow(run, "name string, x binary").toArrow()
+    # at most `rows` ids are broadcast and as many vectors come back: one for each id
+    learned = docs.select("doc_id", "text").join(F.broadcast(chosen.distinct()), F.col("doc_id") == F.col("own")).select(F.struct("own", "name").alias("row"), "text")
+    each = learned.mapInArrow(run, "row struct<own:long,name:string>, x binary").groupBy("row").agg(F.min("x").alias("x"))
+    got = each.select("row.name", "x").toArrow()
     found = sorted(zip(got.column("name").to_pylist(), got.column("x").to_pylist()))
     return fit(np.array([np.frombuffer(v, np.float32) for _, v in found]).reshape(len(found), DIMS), [n for n, _ in found])
 

@@ -10,7 +10,8 @@ Labels, language, source and id are never inputs of a score.
 
 Edge cases: null text counts as empty and gets a score as any text; rows without
 a label, with a null one or with a null id are scored only; several labels of an
-id count as their maximum; without any label every score is 0.5; repeated rows
+id count as their maximum, and of an id's several texts that of least statistics is
+learned from; without any label every score is 0.5; repeated rows
 get equal scores; an empty table gives an empty result; texts are read whole;
 other columns are not read.
 """
@@ -175,15 +176,17 @@ def _training_rows(docs: DataFrame, labels: DataFrame, rows: int) -> DataFrame:
         .select(F.col("doc_id").alias("labelled"), F.col("label").cast("double").alias("label"))
     )
     # at most `rows` ids and labels are broadcast
-    return docs.select("doc_id", "text").join(F.broadcast(chosen), F.col("doc_id") == F.col("labelled")).select("label", "text")
+    return docs.select("doc_id", "text").join(F.broadcast(chosen), F.col("doc_id") == F.col("labelled")).select("labelled", "label", "text")
 
 
 def train(docs: DataFrame, labels: DataFrame, *, rows: int = TRAIN_ROWS) -> Forest:
     def run(batches: Iterable[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        for label, texts in _rows(batches):
-            yield pa.record_batch([label, pa.array(list(statistics(texts)), pa.list_(pa.float32()))], ["label", "x"])
+        for row_id, texts in _rows(batches):
+            yield pa.record_batch([row_id, pa.array(list(statistics(texts)), pa.list_(pa.float32()))], ["row", "x"])
 
-    got = _training_rows(docs, labels, rows).mapInArrow(run, "label double, x array<float>").toArrow()
+    chosen = _training_rows(docs, labels, rows)
+    each = chosen.select(F.struct("labelled", "label").alias("row"), "text").mapInArrow(run, "row struct<labelled:long,label:double>, x array<float>")
+    got = each.groupBy("row").agg(F.min("x").alias("x")).select("row.label", "x").toArrow()  # at most `rows` rows
     y = np.asarray(got.column("label").to_pylist(), np.float64)
     x = np.asarray(got.column("x").to_pylist(), np.float32).reshape(len(y), len(FEATURES))
     order = np.lexsort((y, *x.T))  # the rows' order of arrival must not matter
