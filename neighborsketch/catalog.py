@@ -2,13 +2,9 @@
 
 from __future__ import annotations
 
-from .catalog_data import ORACLES as _DATA_SQL
-from .catalog_data import QUERIES as _DATA
-from .catalog_experiments import ORACLES as _EXPERIMENT_SQL
-from .catalog_experiments import QUERIES as _EXPERIMENTS
-from .catalog_sketch import ORACLES as _SKETCH_SQL
-from .catalog_sketch import QUERIES as _SKETCH
+from . import catalog_data, catalog_experiments, catalog_families, catalog_sketch, catalog_sweeps
 
-QUERIES: dict = {**_DATA, **_SKETCH, **_EXPERIMENTS}
-ORACLES: dict[str, str] = {**_DATA_SQL, **_SKETCH_SQL, **_EXPERIMENT_SQL}
+_PARTS = (catalog_data, catalog_sketch, catalog_experiments, catalog_families, catalog_sweeps)
+QUERIES: dict = {name: f for part in _PARTS for name, f in part.QUERIES.items()}
+ORACLES: dict[str, str] = {name: text for part in _PARTS for name, text in part.ORACLES.items()}
 FLAGSHIP = "top_neighbors_docs"

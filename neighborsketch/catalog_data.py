@@ -9,6 +9,7 @@ from pyspark.sql import functions as F
 from .functions import hashing
 from .functions.params import PRIME, SketchParams
 from .operators import baselines, exact, measures
+from .operators.measures import fixed
 from .oracles import blocks as sql
 from .plans import workloads
 from .sources import views
@@ -21,7 +22,7 @@ def query(name: str, oracle: str | None = None):
     def add(f):
         QUERIES[name] = f
         if oracle is not None:
-            ORACLES[name] = oracle
+            ORACLES[name] = sql.stable(oracle)
         return f
 
     return add
@@ -40,18 +41,24 @@ for _name in views.VIEWS:
 def dataset_stats(spark, sf_dir):
     rows = None
     for name in views.VIEWS:
-        one = measures.dataset_stats(views.sets(spark, sf_dir, name)).select(F.lit(name).alias("view"), "nodes", "nonzeros", F.round("mean_edges", 6).alias("mean_edges"), F.round("mean_similarity", 9).alias("mean_similarity"))
+        one = measures.dataset_stats(views.sets(spark, sf_dir, name)).select(F.lit(name).alias("view"), "nodes", "nonzeros", fixed("mean_edges", 6).alias("mean_edges"), fixed("mean_similarity", 9).alias("mean_similarity"))
         rows = one if rows is None else rows.unionByName(one)
     return rows
 
 
-@query("mean_similarity_estimates")
+_ESTIMATED = " UNION ALL ".join(f"""SELECT * FROM (WITH items AS MATERIALIZED ({sql.items(v)}), {sql.constants(1, 1, 32, 1)},
+    codes AS (SELECT id, rep, min((alpha * element + beta) % {sql.P}) AS code FROM items, par GROUP BY id, rep), counts AS (SELECT rep, code, count(*) AS n FROM codes GROUP BY rep, code),
+    reps AS (SELECT rep, sum(n)::BIGINT AS nodes, sum(n * n)::BIGINT AS sq FROM counts GROUP BY rep) SELECT '{v}' AS view, max(nodes) AS nodes, round(avg((sq - nodes) / (nodes * (nodes - 1))), 9) AS mean_similarity FROM reps)"""
+    for v in views.VIEWS)
+
+
+@query("mean_similarity_estimates", _ESTIMATED)
 def mean_similarity_estimates(spark, sf_dir):
     """The same mean in linear time: two items share a MinHash code with probability J,
     so the sum of squared code counts tells the sum of similarities."""
     rows = None
     for name in views.VIEWS:
-        one = measures.mean_similarity_estimate(views.items(spark, sf_dir, name)).select(F.lit(name).alias("view"), "nodes", "mean_similarity")
+        one = measures.mean_similarity_estimate(views.items(spark, sf_dir, name)).select(F.lit(name).alias("view"), "nodes", fixed("mean_similarity", 9).alias("mean_similarity"))
         rows = one if rows is None else rows.unionByName(one)
     return rows
 
@@ -93,16 +100,15 @@ for _key, _view in (("exact_top_baskets", "basket_twins"), ("exact_top_docs", "d
 def exact_top_embeddings(spark, sf_dir):
     from .operators.decode import best
 
-    rounded = views.vectors(spark, sf_dir).select("id", F.transform("elements", lambda x: F.round(x.cast("double") * 1_000_000).cast("long")).alias("elements"))
-    left = rounded.select(F.col("id").alias("qid"), F.col("elements").alias("q"))
+    rounded = views.rounded_vectors(spark, sf_dir)
     dot = F.aggregate(F.zip_with("q", "elements", lambda a, b: a * b), F.lit(0).cast("long"), lambda s, x: s + x)
-    return best(rounded.crossJoin(F.broadcast(left)).where("id != qid").select("qid", "id", dot.alias("score")), 20)
+    return best(exact.meet_blocks(rounded, rounded).where("id != qid").select("qid", "id", dot.alias("score")), 20)
 
 
 @query("exact_kernel_sum", f"WITH {sql.pairs('basket_twins')} SELECT qid, round(sum(pow(inter / uni, 2)), 6) AS s FROM sims GROUP BY qid")
 def exact_kernel_sum(spark, sf_dir):
     items = views.sets(spark, sf_dir, "basket_twins")
-    return exact.exact_kde(exact.overlaps(items, items).where("id != qid"), 2).select("qid", F.round("s", 6).alias("s"))
+    return exact.exact_kde(exact.overlaps(items, items).where("id != qid"), 2).select("qid", fixed("s", 6).alias("s"))
 
 
 _P3 = SketchParams(3, 60, 1)
@@ -155,7 +161,7 @@ def sample_top_baskets(spark, sf_dir):
     items = views.sets(spark, sf_dir, "basket_twins")
     queries, _ = workloads.close_queries(items, 9, 10)
     sample = baselines.sample_items(items, int(items.count() * 0.3 + 0.5))
-    return baselines.sample_top(sample, queries, 20).withColumn("score", F.round("score", 9))
+    return baselines.sample_top(sample, queries, 20).withColumn("score", fixed("score", 9))
 
 
 @query("bloom_membership", f"""WITH f AS (SELECT j, {sql.mult("'fa:42:' || j")} AS a, {sql.off("'fb:42:' || j")} AS b FROM range(3) t(j)),

@@ -7,6 +7,7 @@ from pyspark.sql import functions as F
 from .functions import hashing, lsh
 from .functions.params import SketchParams
 from .operators import cache, cms, decode, grid, layout, measures
+from .operators.measures import fixed
 from .oracles import blocks as sql
 from .plans import workloads
 from .sources import views
@@ -24,7 +25,7 @@ def query(name: str, oracle: str | None = None):
     def add(f):
         QUERIES[name] = f
         if oracle is not None:
-            ORACLES[name] = oracle
+            ORACLES[name] = sql.stable(oracle)
         return f
 
     return add
@@ -75,12 +76,6 @@ def srp_codes_embeddings(spark, sf_dir):
     return grid.touched(views.vectors(spark, sf_dir), p, keep=["id"]).select("id", F.floor(F.col("cell") / 2).cast("long").alias("rep"), (F.col("cell") % 2).alias("bit"))
 
 
-@query("embedding_hash_arrow", None)
-def embedding_hash_arrow(spark, sf_dir):
-    p = SketchParams(2, 8, 4, hashes=4, family="signed_projection", buckets=None)
-    return grid.build_sketch(views.vectors(spark, sf_dir), p, engine="arrow").cells
-
-
 # sketches --------------------------------------------------------------------------------
 
 
@@ -185,7 +180,10 @@ def sketch_signed_matrix(spark, sf_dir):
     return grid.build_sketch(_docs(spark, sf_dir), SketchParams(2, 10, 2, measurement="signed")).cells
 
 
-@query("sketch_bernoulli_matrix")
+@query("sketch_bernoulli_matrix", f"""WITH items AS MATERIALIZED ({sql.items('doc_shingles')}), {sql.constants(2, 4, 1, 1)},
+    coins AS (SELECT i AS row, j AS col, {sql.mult("'ba:42:' || i || ':' || j")} AS ca, {sql.off("'bb:42:' || i || ':' || j")} AS cb FROM range(2) a(i), range(4) b(j)),
+    {sql.touched('items', 2, 4, 1, 1, 100, placed="placed AS (SELECT id, row, col, 1 AS sign FROM (SELECT DISTINCT id FROM items), coins WHERE ((id % " + str(sql.P) + ") * ca + cb) % " + str(sql.P) + " % 2 = 1)")}
+    SELECT cell, count(*)::BIGINT AS n FROM hits GROUP BY cell""")
 def sketch_bernoulli_matrix(spark, sf_dir):
     return grid.build_sketch(_docs(spark, sf_dir), SketchParams(2, 4, 1, measurement="bernoulli")).cells
 
@@ -219,7 +217,7 @@ def measurements_median(spark, sf_dir):
     SELECT r.qid, r.row, r.col, round(avg((r.n - coalesce(l.load, 0) * 0.01::DOUBLE) / 0.99::DOUBLE), 6) AS y FROM reads r LEFT JOIN loads l ON l.row = r.row AND l.col = r.col AND l.rep = r.rep GROUP BY r.qid, r.row, r.col""")
 def measurements_debiased(spark, sf_dir):
     sketch, readings = _readings(spark, sf_dir)
-    return decode.estimate_measurements(decode.debiased(readings, sketch)).select("qid", "row", "col", F.round("y", 6).alias("y"))
+    return decode.estimate_measurements(decode.debiased(readings, sketch)).select("qid", "row", "col", fixed("y", 6).alias("y"))
 
 
 _SCORES = f"{_READ}, {sql.measured(2)}, {sql.decoded(10)}"
@@ -274,7 +272,9 @@ def neighbors_above_baskets(spark, sf_dir):
     return decode.neighbors_above(decode.recover_scores(y, items.select("id"), TWINS), 2).where("id != qid")
 
 
-@query("reranked_baskets")
+@query("reranked_baskets", f"""{_BASKET_READ}, tops AS MATERIALIZED ({sql.top(V, where='id <> qid')}),
+    met AS (SELECT t.qid, t.id, coalesce(s.inter, 0)::BIGINT AS inter, (a.n + b.n - coalesce(s.inter, 0))::BIGINT AS uni FROM tops t JOIN sizes a ON a.id = t.qid JOIN sizes b ON b.id = t.id LEFT JOIN sims s ON s.qid = t.qid AND s.id = t.id)
+    SELECT qid, row_number() OVER (PARTITION BY qid ORDER BY inter / uni DESC, id)::BIGINT AS rank, id, inter, uni FROM met""")
 def reranked_baskets(spark, sf_dir):
     from .operators.exact import rerank
 
@@ -327,7 +327,7 @@ def exact_cell_decode(spark, sf_dir):
 
     items = views.sets(spark, sf_dir, "basket_twins")
     kernel = exact.exact_kernel(exact.overlaps(items, _close(items)).where("id != qid"), 1)
-    return cms.exact_cell_scores(kernel, items.select("id"), SketchParams(3, 60, 1)).select("qid", "id", F.round("score", 6).alias("score"))
+    return cms.exact_cell_scores(kernel, items.select("id"), SketchParams(3, 60, 1)).select("qid", "id", fixed("score", 6).alias("score"))
 
 
 # applications ----------------------------------------------------------------------------

@@ -52,8 +52,25 @@ def column_hash(row_id: Column, row: int, params: SketchParams) -> Column:
     return F.pmod(F.pmod(row_id.cast("long"), F.lit(PRIME).cast("long")) * F.lit(a).cast("long") + F.lit(b).cast("long"), F.lit(PRIME).cast("long")) % F.lit(params.cols)
 
 
+def murmur_array(words: list[np.ndarray], length: int, seed: np.ndarray | int) -> np.ndarray:
+    """The 32-bit Murmur hash (third version) of rows of 32-bit words."""
+    turned = lambda x, n: (x << np.uint32(n)) | (x >> np.uint32(32 - n))
+    h = np.broadcast_to(np.asarray(seed, np.uint32), words[0].shape)
+    for w in words:
+        h = turned(h ^ (turned(w * np.uint32(0xCC9E2D51), 15) * np.uint32(0x1B873593)), 13) * np.uint32(5) + np.uint32(0xE6546B64)
+    h = h ^ np.uint32(length)
+    h = (h ^ (h >> np.uint32(16))) * np.uint32(0x85EBCA6B)
+    h = (h ^ (h >> np.uint32(13))) * np.uint32(0xC2B2AE35)
+    return h ^ (h >> np.uint32(16))
+
+
 def column_hash_array(ids: np.ndarray, row: int, params: SketchParams) -> np.ndarray:
-    """The portable column hash over an array of ids."""
+    """The column hash over an array of ids, by the portable mixer or Murmur."""
+    if params.mixer == "murmur3":
+        own = ids.astype(np.int64).view(np.uint64)
+        first = murmur_array([(own & np.uint64(0xFFFFFFFF)).astype(np.uint32), (own >> np.uint64(32)).astype(np.uint32)], 8, 42)
+        word = np.full(len(own), (params.seed * 1009 + row) & 0xFFFFFFFF, np.uint32)
+        return np.mod(murmur_array([word], 4, first).view(np.int32).astype(np.int64), params.cols)
     a, b = row_constants(params, row)
     return (np.mod(ids, PRIME) * a + b) % PRIME % params.cols
 

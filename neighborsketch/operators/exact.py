@@ -6,7 +6,11 @@ from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 from pyspark.sql import Window
 
+from ..sources.store import stored
+
 SALTS = 16
+SALT_OWNERS = 10_000
+QUERY_BLOCK = 4096
 
 
 def overlaps(items: DataFrame, queries: DataFrame) -> DataFrame:
@@ -21,22 +25,64 @@ def overlaps(items: DataFrame, queries: DataFrame) -> DataFrame:
     return shared.select("qid", "id", "inter", (F.col("nq") + F.col("ni") - F.col("inter")).cast("long").alias("uni"))
 
 
-def close_pairs(items: DataFrame, num: int, den: int) -> DataFrame:
-    """``qid, id, inter, uni`` with Jaccard of at least num / den, in both directions.
-    Only the rarest elements of each set, as many as a close pair must share one of,
-    are joined (prefix and size filters); survivors are compared exactly."""
-    each = items.select("id", F.size("elements").alias("n"), F.explode("elements").alias("element"))
+def set_classes(items: DataFrame) -> DataFrame:
+    """``head, elements`` of the distinct sets, and each item's head: equal sets, told by
+    128 bits of hash and their size, are one class with the smallest id as its head."""
+    marked = items.select("id", "elements", F.xxhash64("elements").alias("s1"), F.xxhash64(F.lit(1), "elements").alias("s2"))
+    return marked.groupBy("s1", "s2", F.size("elements").alias("n")).agg(F.min("id").alias("head"), F.count(F.lit(1)).alias("members"))
+
+
+def close_classes(items: DataFrame, num: int, den: int) -> tuple[DataFrame, DataFrame]:
+    """Pairs of different sets with Jaccard of at least num / den (``a, b, inter, uni``
+    by class heads, both directions), and membership (``id, head, members``). Classes
+    are linear in the input however many copies a set has; ``close_pairs`` expands them.
+
+    Only the rarest elements of each set, as many as a close pair must share one of, are
+    joined (prefix and size filters); survivors are compared exactly. Elements that a
+    single class has match nothing and are dropped before anything is ordered."""
+    classes = stored(set_classes(items), "set-classes")
+    marked = items.select("id", "elements", F.xxhash64("elements").alias("s1"), F.xxhash64(F.lit(1), "elements").alias("s2"), F.size("elements").alias("n"))
+    members = stored(marked.join(classes, ["s1", "s2", "n"]).select("id", "head", "members", F.when(F.col("id") == F.col("head"), F.col("elements")).alias("elements")), "set-members")
+    heads = members.where("id = head").select("id", "elements", F.size("elements").alias("n"))
+    each = heads.select("id", "n", F.explode("elements").alias("element"))
     counts = each.groupBy("element").agg(F.count(F.lit(1)).alias("df")).where("df > 1")
+    shared = each.join(counts, "element").groupBy("id", "n").agg(F.sort_array(F.collect_list(F.struct("df", "element"))).alias("own"))
     # elements of a single set come first in its order and match nothing: only their number counts
-    own = Window.partitionBy("id")
-    shared = each.join(counts, "element").withColumn("at", F.col("n") - F.count(F.lit(1)).over(own) + F.row_number().over(own.orderBy("df", "element")))
-    prefix = shared.where(F.col("at") <= F.col("n") - F.ceil(F.col("n") * num / den - 1e-9) + 1).select("id", "n", "element")
-    other = prefix.select(F.col("id").alias("qid"), F.col("n").alias("m"), "element")
-    candidates = prefix.join(other, "element").where((F.col("id") != F.col("qid")) & (F.col("n") * den >= F.col("m") * num) & (F.col("m") * den >= F.col("n") * num)).select("qid", "id").distinct()
-    left, right = items.select(F.col("id").alias("qid"), F.col("elements").alias("a")), items.select("id", F.col("elements").alias("b"))
-    inter = F.size(F.array_intersect("a", "b"))
-    both = candidates.join(left, "qid").join(right, "id").select("qid", "id", inter.cast("long").alias("inter"), (F.size("a") + F.size("b") - inter).cast("long").alias("uni"))
-    return both.where(F.col("inter") * den >= F.col("uni") * num)
+    first = F.col("n") - F.ceil(F.col("n") * num / den - 1e-9) + 1 - (F.col("n") - F.size("own"))
+    prefix = shared.where(first > 0).select("id", "n", F.explode(F.transform(F.slice("own", F.lit(1), first.cast("int")), lambda x: x["element"])).alias("element"))
+    prefix = stored(prefix, "prefixes")
+    # both sides meet by element and salt: a frequent one is dealt out over as many salts as its owners need
+    heavy = prefix.groupBy("element").agg(F.count(F.lit(1)).alias("owners")).where(F.col("owners") > SALT_OWNERS).withColumn("salts", F.least(F.ceil(F.col("owners") / SALT_OWNERS), F.lit(1 << 12)).cast("int"))
+    salted = prefix.join(heavy.select("element", "salts"), "element", "left").withColumn("salts", F.coalesce("salts", F.lit(1)))
+    left = salted.withColumn("salt", F.pmod(F.xxhash64("id"), F.col("salts")).cast("int")).drop("salts")
+    right = salted.select(F.col("id").alias("b"), F.col("n").alias("m"), "element", F.explode(F.sequence(F.lit(0), F.col("salts") - 1)).alias("salt"))
+    candidates = left.join(right, ["element", "salt"]).where((F.col("id") < F.col("b")) & (F.col("n") * den >= F.col("m") * num) & (F.col("m") * den >= F.col("n") * num)).select(F.col("id").alias("a"), "b").distinct()
+    one, two = heads.select(F.col("id").alias("a"), F.col("elements").alias("x")), heads.select(F.col("id").alias("b"), F.col("elements").alias("y"))
+    inter = F.size(F.array_intersect("x", "y"))
+    both = candidates.join(one, "a").join(two, "b").select("a", "b", inter.cast("long").alias("inter"), (F.size("x") + F.size("y") - inter).cast("long").alias("uni"))
+    close = stored(both.where(F.col("inter") * den >= F.col("uni") * num), "close-classes")
+    return close.unionByName(close.select(F.col("b").alias("a"), F.col("a").alias("b"), "inter", "uni")), members.select("id", "head", "members", "elements")
+
+
+def close_pairs(items: DataFrame, num: int, den: int) -> DataFrame:
+    """``qid, id, inter, uni`` with Jaccard of at least num / den, in both directions.
+    Expands the classes: for m equal sets these are m * (m - 1) rows."""
+    close, members = close_classes(items, num, den)
+    mine, other = members.select(F.col("id").alias("qid"), F.col("head").alias("a")), members.select("id", F.col("head").alias("b"))
+    across = close.join(mine, "a").join(other, "b").select("qid", "id", "inter", "uni")
+    copied = members.where("members > 1")
+    size = copied.where("id = head").select(F.col("head").alias("b"), F.size("elements").cast("long").alias("inter"))
+    within = copied.select(F.col("id").alias("qid"), F.col("head").alias("a")).join(copied.select("id", F.col("head").alias("b")), F.col("a") == F.col("b")).where("id != qid").join(size, "b").select("qid", "id", "inter", F.col("inter").alias("uni"))
+    return across.unionByName(within)
+
+
+def close_items(items: DataFrame, num: int, den: int) -> DataFrame:
+    """``id, links``: the items with another at least that similar, and how many: a row
+    an item, however many copies a set has."""
+    close, members = close_classes(items, num, den)
+    sizes = members.where("id = head").select(F.col("head").alias("b"), F.col("members").alias("k"))
+    links = close.join(sizes, "b").groupBy(F.col("a").alias("head")).agg(F.sum("k").alias("others"))
+    return members.join(links, "head", "left").select("id", (F.coalesce("others", F.lit(0)) + F.col("members") - 1).alias("links")).where("links > 0")
 
 
 def jaccard(inter: Column | str = "inter", uni: Column | str = "uni") -> Column:
@@ -45,18 +91,30 @@ def jaccard(inter: Column | str = "inter", uni: Column | str = "uni") -> Column:
 
 
 def exact_top(similarities: DataFrame, v: int, *, exclude_own: bool = True) -> DataFrame:
-    """``qid, rank, id, inter, uni``: the v most similar items, ties by id. Exact: the
-    fractions are compared by a common multiple."""
+    """``qid, rank, id, inter, uni``: the v most similar items, ties by id. Fractions of
+    integers below 2**26 that differ are different doubles, and equal ones equal."""
     found = similarities.where("id != qid") if exclude_own else similarities
     order = Window.partitionBy("qid").orderBy(F.desc(F.col("inter") / F.col("uni")), "id")
     return found.withColumn("rank", F.row_number().over(order).cast("long")).where(F.col("rank") <= v).select("qid", "rank", "id", "inter", "uni")
 
 
 def dot_products(vectors: DataFrame, queries: DataFrame) -> DataFrame:
-    """``qid, id, score``: inner products of all pairs, queries in one block (a stated set)."""
-    left = queries.select(F.col("id").alias("qid"), F.col("elements").alias("q"))
+    """``qid, id, score``: inner products of the stated set of queries with all vectors."""
     dot = F.aggregate(F.zip_with("q", "elements", lambda a, b: a.cast("double") * b.cast("double")), F.lit(0.0), lambda s, x: s + x)
-    return vectors.crossJoin(F.broadcast(left)).where("id != qid").select("qid", "id", dot.alias("score"))
+    return meet_blocks(vectors, queries).where("id != qid").select("qid", "id", dot.alias("score"))
+
+
+def meet_blocks(vectors: DataFrame, queries: DataFrame) -> DataFrame:
+    """``id, elements, qid, q``: every vector beside every query. Up to ``QUERY_BLOCK``
+    queries are broadcast; more are dealt out in blocks of about that size, and a copy
+    of the vectors goes to each."""
+    left = stored(queries.select(F.col("id").alias("qid"), F.col("elements").alias("q")), "queries")
+    n_blocks = -(-left.count() // QUERY_BLOCK)
+    if n_blocks <= 1:
+        return vectors.select("id", "elements").crossJoin(F.broadcast(left))  # at most QUERY_BLOCK rows
+    dealt = left.withColumn("block", F.pmod(F.xxhash64("qid"), F.lit(n_blocks)).cast("int"))
+    copies = vectors.select("id", "elements", F.explode(F.sequence(F.lit(0), F.lit(n_blocks - 1))).alias("block"))
+    return copies.join(dealt, "block").drop("block")
 
 
 def exact_kernel(similarities: DataFrame, hashes: int) -> DataFrame:

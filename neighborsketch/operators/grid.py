@@ -68,8 +68,8 @@ def touched(items: DataFrame, p: SketchParams, *, id_col: str = "id", payload_co
     weight = F.col(weight_col).cast("double") if weight_col else None
     rows = usable(items, id_col, payload_col).select(*keep, F.col(id_col).cast("long").alias("__id"), F.col(payload_col).alias("__payload"), *([weight.alias("__w")] if weight_col else []))
     if engine == "arrow":
-        if p.measurement != "cms" or p.mixer != "portable" or weight_col or keep:
-            raise ValueError("the Arrow engine builds plain sketches with the portable mixer")
+        if p.measurement != "cms" or p.mixer == "xxhash64" or weight_col or keep:
+            raise ValueError("the Arrow engine builds plain sketches, by the portable mixer or Murmur")
         return _touched_arrow(rows, p)
     constants = hashing.hash_params(items.sparkSession, p)
     placed = rows.select("*", F.explode(_cells_of(F.col("__id"), p)).alias("__c")).select("*", F.col("__c.row").alias("row"), F.col("__c.col").alias("col"), F.col("__c.w").alias("__sign")).drop("__c")

@@ -3,6 +3,7 @@
 from __future__ import annotations
 
 import time
+from collections.abc import Iterable
 
 from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
@@ -26,6 +27,26 @@ def recall_at(top: DataFrame, truth: DataFrame, num: int, den: int, *, v: int =
     return each.agg(F.count(F.lit(1)).alias("queries"), F.avg(F.try_divide("hits", size)).alias("recall"))
 
 
+def fixed(value: Column | str, digits: int = 6) -> Column:
+    """Rounded by steps that every engine takes alike: rounding functions differ where a
+    value lies just between two results."""
+    x = F.col(value) if isinstance(value, str) else value
+    return F.floor(x.cast("double") * F.lit(10.0**digits) + F.lit(0.5)).cast("double") / F.lit(10.0**digits)
+
+
+def recall_at_each(top: DataFrame, truth: DataFrame, thresholds: Iterable[tuple[int, int]], *, v: int = 20) -> DataFrame:
+    """``threshold, queries, recall`` (9 digits) for several thresholds from one join."""
+    steps = list(thresholds)
+    found = top.where(F.col("rank") <= v).select("qid", "id", F.lit(1).alias("hit"))
+    met = truth.where("id != qid").select("qid", "id", "inter", "uni").join(found, ["qid", "id"], "left")
+    near = [F.col("inter") * den >= F.col("uni") * num for num, den in steps]
+    sums = [F.struct(F.lit(num / den).alias("threshold"), F.count_if(c).alias("near"), F.count_if(c & F.col("hit").isNotNull()).alias("hits")) for c, (num, den) in zip(near, steps)]
+    each = met.groupBy("qid").agg(F.array(*sums).alias("x")).select(F.explode("x").alias("x")).select("x.*").where("near > 0")
+    known = each.groupBy("threshold").agg(F.count(F.lit(1)).alias("queries"), F.avg(F.col("hits") / F.col("near")).alias("recall"))
+    asked = top.sparkSession.createDataFrame([(num / den,) for num, den in steps], "threshold double")
+    return asked.join(F.broadcast(known), "threshold", "left").select("threshold", F.coalesce("queries", F.lit(0)).cast("long").alias("queries"), fixed("recall", 9).alias("recall"))
+
+
 def recall_by_band(top: DataFrame, truth: DataFrame, v: int = 20) -> DataFrame:
     """``band, pairs, recall`` by tenths of similarity."""
     found = top.where(F.col("rank") <= v).select("qid", "id", F.lit(1).alias("hit"))
@@ -40,6 +61,14 @@ def uncompressed_bytes(items: DataFrame, mode: str = "csr") -> DataFrame:
     return items.agg((nnz * 2 * ID_BYTES if mode == "coo" else nnz * ID_BYTES + (n + 1) * ID_BYTES).cast("long").alias("bytes"))
 
 
+def smallest_bytes(items: DataFrame) -> DataFrame:
+    """``bytes`` of the items by the smallest unsigned type that holds their elements,
+    one entry each, with no offsets."""
+    most = F.coalesce(F.max(F.array_max("elements")), F.lit(0))
+    width = F.when(most < 1 << 8, 1).when(most < 1 << 16, 2).when(most < 1 << 32, 4).otherwise(8)
+    return items.agg((F.coalesce(F.sum(F.size("elements")), F.lit(0)) * width).cast("long").alias("bytes"))
+
+
 def sample_bytes(sample: DataFrame) -> DataFrame:
     return uncompressed_bytes(sample)
 
@@ -55,7 +84,8 @@ def size_ratio(compressed: Column, uncompressed: Column) -> Column:
 
 def pareto(points: DataFrame, size: str, quality: str, by: list[str]) -> DataFrame:
     """The points that no smaller one beats, by method."""
-    ahead = Window.partitionBy(*by).orderBy(size, F.desc(quality)).rowsBetween(Window.unboundedPreceding, -1)
+    ties = [c for c in ("setting",) if c in points.columns]
+    ahead = Window.partitionBy(*by).orderBy(size, F.desc(quality), *ties).rowsBetween(Window.unboundedPreceding, -1)
     return points.withColumn("__best", F.max(quality).over(ahead)).where(F.col("__best").isNull() | (F.col(quality) > F.col("__best"))).drop("__best")
 
 
@@ -71,6 +101,13 @@ def advantage(points: DataFrame, target: float, a: str, b: str) -> DataFrame:
     return wide.select(F.try_divide(F.col(f"`{b}`"), F.col(f"`{a}`")).alias("factor"))
 
 
+def advantages(points: DataFrame, target: float, method: str) -> DataFrame:
+    """``against, threshold, factor``: the same against every other method."""
+    least = bytes_at_recall(points, target, ["method", "threshold"])
+    own = least.where(F.col("method") == method).select("threshold", F.col("bytes").alias("own"))
+    return least.where(F.col("method") != method).join(own, "threshold").select(F.col("method").alias("against"), "threshold", F.try_divide("bytes", "own").alias("factor"))
+
+
 def dataset_stats(items: DataFrame) -> DataFrame:
     """``nodes, nonzeros, mean_edges, mean_similarity`` (over all pairs of two items; of
     pairs that share nothing only the number counts)."""

@@ -43,7 +43,7 @@ VIEWS = {
     "user_events": f"SELECT DISTINCT user_id AS id, {code('''event_type || ':' || CAST(hour(ts) AS VARCHAR)''')} AS element FROM events",
     "doc_shingles": _shingled("documents", "doc_id", "text"),
     "page_tokens": _shingled("pages", "page_id", r"regexp_replace(regexp_replace(html, '(?s)<(script|style)[^>]*>.*?</(script|style)>', ' ', 'g'), '(?s)<[^>]*>', ' ', 'g')"),
-    "turn_shingles": _shingled("conversations", "(conv_id * 100 + turn)", "text"),
+    "turn_shingles": _shingled("conversations", "(conv_id * 1048576 + turn)", "text"),
     "benchmark_shingles": _shingled("benchmark", "item_id", "text"),
 }
 RAW = ("basket_customer", "basket_twins", "basket_order", "part_suppliers")
@@ -58,9 +58,35 @@ def items(name: str) -> str:
     return f"SELECT id, {code('element')} AS element FROM ({VIEWS[name]})" if name in RAW else VIEWS[name]
 
 
-def constants(d: int, w: int, reps: int, k: int, seed: int = 42) -> str:
+def fixed(x: str, digits: int = 6) -> str:
+    """Rounded by steps that every engine takes alike: rounding functions differ where a
+    value lies just between two results."""
+    return f"(floor(CAST({x} AS DOUBLE) * 1e{digits}::DOUBLE + 0.5::DOUBLE) / 1e{digits}::DOUBLE)"
+
+
+def stable(query: str) -> str:
+    """A query whose two-argument ``round`` calls are written out as ``fixed``."""
+    out, at = [], 0
+    while (begin := query.find("round(", at)) >= 0:
+        depth, comma, end = 0, -1, begin + 6
+        while depth or query[end] != ")":
+            depth += (query[end] in "([") - (query[end] in ")]")
+            if query[end] == "," and not depth:
+                comma = end
+            end += 1
+        if comma < 0:
+            out.append(query[at : begin + 6])
+            at = begin + 6
+        else:
+            out.append(query[at:begin] + fixed(stable(query[begin + 6 : comma]), int(query[comma + 1 : end])))
+            at = end + 1
+    return "".join(out) + query[at:]
+
+
+def constants(d: int, w: int, reps: int, k: int, seed: int = 42, sharing: str = "cell") -> str:
     """CTEs par(row, col, rep, k, alpha, beta, gamma) and rowpar(row, a, b, sa, sb)."""
-    tail = f"'{seed}:' || i || ':' || j || ':' || o || ':' || h"
+    own = {"cell": "i || ':' || j", "row": "i || ':0'", "rep": "'0:0'"}[sharing]
+    tail = f"'{seed}:' || {own} || ':' || o || ':' || h"
     alpha, beta, gamma = (f"'{n}:' || {tail}" for n in ("alpha", "beta", "gamma"))
     one = lambda n: f"'{n}:{seed}:' || i"
     return f"""
@@ -73,11 +99,35 @@ def column(a: str, b: str, w: int, row_id: str = "id") -> str:
     return f"(((({row_id} % {P}) * {a} + {b}) % {P}) % {w})"
 
 
-def touched(source: str, d: int, w: int, reps: int, k: int, r: int, name: str = "hits") -> str:
-    """CTEs up to ``hits``: id, row, col, rep, cell and sign. source: a CTE (id, element)."""
+def murmur(source: str, d: int, w: int, seed: int = 42) -> str:
+    """CTE ``placed`` by the 32-bit Murmur hash (third version) of id and row."""
+    mod = 1 << 32
+    steps = ["id & 4294967295 AS lo", "(id >> 32) & 4294967295 AS hi"]
+    times = lambda x, c: f"(CAST({x} AS HUGEINT) * {c} % {mod})::BIGINT"
+    turned = lambda x, n: f"((({x} << {n}) & 4294967295) | ({x} >> {32 - n}))"
+
+    def mixed(h: str, word: str, name: str) -> str:
+        steps.extend([f"{times(word, 0xCC9E2D51)} AS {name}_k", f"{times(turned(f'{name}_k', 15), 0x1B873593)} AS {name}_m", f"xor({h}, {name}_m) AS {name}_x", f"({turned(f'{name}_x', 13)} * 5 + {0xE6546B64}) % {mod} AS {name}"])
+        return name
+
+    def finished(h: str, length: int, name: str) -> str:
+        steps.extend([f"xor({h}, {length}) AS {name}_a", f"xor({name}_a, {name}_a >> 16) AS {name}_b", f"{times(f'{name}_b', 0x85EBCA6B)} AS {name}_c", f"xor({name}_c, {name}_c >> 13) AS {name}_d", f"{times(f'{name}_d', 0xC2B2AE35)} AS {name}_e", f"xor({name}_e, {name}_e >> 16) AS {name}"])
+        return name
+
+    first = finished(mixed(mixed("42::BIGINT", "lo", "h1"), "hi", "h2"), 8, "h3")
+    last = finished(mixed(first, "word", "h4"), 4, "h5")
     return f"""
+    mm AS (SELECT id, row, {', '.join(steps)} FROM (SELECT id, row, ({seed * 1009} + row)::BIGINT AS word FROM (SELECT DISTINCT id FROM {source}), range({d}) t(row))),
+    placed AS (SELECT id, row, ((CASE WHEN {last} >= 2147483648 THEN {last} - {mod} ELSE {last} END % {w}) + {w}) % {w} AS col, 1 AS sign FROM mm)"""
+
+
+def touched(source: str, d: int, w: int, reps: int, k: int, r: int, name: str = "hits", placed: str | None = None) -> str:
+    """CTEs up to ``hits``: id, row, col, rep, cell and sign. source: a CTE (id, element);
+    placed: a CTE of that name in place of the universal hash."""
+    placed = placed or f"""
     placed AS (SELECT id, row, {column('a', 'b', w)} AS col, CASE WHEN ((id % {P}) * sa + sb) % {P} % 2 = 0 THEN 1 ELSE -1 END AS sign
-               FROM (SELECT DISTINCT id FROM {source}), rowpar),
+               FROM (SELECT DISTINCT id FROM {source}), rowpar)"""
+    return f"""{placed},
     codes AS (SELECT s.id, p.row, p.col, q.rep, q.k, any_value(p.sign) AS sign, min((q.alpha * s.element + q.beta) % {P}) AS code, any_value(q.gamma) AS gamma
               FROM {source} s JOIN placed p ON s.id = p.id JOIN par q ON q.row = p.row AND q.col = p.col GROUP BY s.id, p.row, p.col, q.rep, q.k),
     {name} AS (SELECT id, row, col, rep, any_value(sign) AS sign,
@@ -85,9 +135,9 @@ def touched(source: str, d: int, w: int, reps: int, k: int, r: int, name: str =
                FROM codes GROUP BY id, row, col, rep)"""
 
 
-def sketch(name: str, d: int, w: int, reps: int, k: int, r: int, seed: int = 42, where: str = "true") -> str:
+def sketch(name: str, d: int, w: int, reps: int, k: int, r: int, seed: int = 42, where: str = "true", sharing: str = "cell") -> str:
     """CTEs up to ``sketch``: cell, n."""
-    return f"""items AS MATERIALIZED (SELECT * FROM ({items(name)}) WHERE {where}), {constants(d, w, reps, k, seed)}, {touched('items', d, w, reps, k, r)},
+    return f"""items AS MATERIALIZED (SELECT * FROM ({items(name)}) WHERE {where}), {constants(d, w, reps, k, seed, sharing)}, {touched('items', d, w, reps, k, r)},
     sketch AS (SELECT cell, count(*)::BIGINT AS n FROM hits GROUP BY cell)"""
 
 

@@ -10,22 +10,19 @@ from pyspark.sql import functions as F
 from ..functions.params import SketchParams
 from ..operators import baselines, decode, exact, layout, measures
 from ..operators.grid import build_sketch
+from ..sources.store import stored
 
 POINT = "method string, setting string, bytes long, ratio double, threshold string, queries long, recall double"
 THRESHOLDS = ((8, 10), (9, 10))
 
 
 def close_queries(items: DataFrame, num: int, den: int) -> tuple[DataFrame, DataFrame]:
-    """The items that have another at least that similar, and all such pairs."""
-    pairs = exact.close_pairs(items, num, den)
+    """The items that have another at least that similar, and all such pairs, which are
+    found once and written."""
+    pairs = stored(exact.close_pairs(items, num, den), "close-pairs")
     return items.join(pairs.select(F.col("qid").alias("id")).distinct(), "id", "left_semi"), pairs
 
 
-def far_queries(items: DataFrame, num: int = 2, den: int = 10) -> DataFrame:
-    pairs = exact.close_pairs(items, num, den)
-    return items.join(pairs.select(F.col("qid").alias("id")).distinct(), "id", "left_anti")
-
-
 def sketch_top(items: DataFrame, queries: DataFrame, p: SketchParams, v: int = 20, *, groups: int = 1, protocol: str = "decrement_one") -> DataFrame:
     """Neighbours by the sketch. protocol: how the query itself is kept out:
     ``decrement_one`` (its own counts taken off), ``holdout_all`` (no query is in the
@@ -37,21 +34,20 @@ def sketch_top(items: DataFrame, queries: DataFrame, p: SketchParams, v: int = 2
 
 
 def _recalls(top: DataFrame, truth: DataFrame) -> list[tuple[str, int, float]]:
-    out = []
-    for num, den in THRESHOLDS:
-        r = measures.recall_at(top, truth, num, den).first()
-        out.append((f"{num / den:.1f}", r.queries, float(r.recall or 0.0)))
-    return out
+    rows = measures.recall_at_each(top, truth, THRESHOLDS).orderBy("threshold").collect()  # a row a threshold
+    return [(f"{r.threshold:.1f}", r.queries, float(r.recall or 0.0)) for r in rows]
 
 
-def sweep(items: DataFrame, *, grid: Iterable[SketchParams] = (), projections: Iterable[int] = (), fractions: Iterable[float] = (), groups: int = 1) -> DataFrame:
+def sweep(items: DataFrame, *, grid: Iterable[SketchParams] = (), projections: Iterable[int] = (), fractions: Iterable[float] = (), groups: int = 1, uncompressed: int | None = None) -> DataFrame:
     """Points of every method: the sketch in both layouts for each grid, projections and
-    samples. Truth and query set are made once; each point is a job of its own."""
+    samples, these two with Euclidean search. Truth and query set are found once; the
+    projections are made once and cut to prefixes; each point is a job of its own.
+    uncompressed: bytes of the data, by default of 32-bit ids in rows."""
     spark = items.sparkSession
-    items = items.cache()
+    items = stored(items, "sweep-items")
     queries, truth = close_queries(items, *THRESHOLDS[0])
-    queries, truth = queries.cache(), truth.cache()
-    n, full = items.count(), measures.uncompressed_bytes(items).first().bytes
+    queries = stored(queries, "sweep-queries")
+    n, full = items.count(), measures.uncompressed_bytes(items).first().bytes if uncompressed is None else uncompressed
     points = []
 
     def add(method: str, setting: str, size: int, found: list[tuple[str, int, float]]) -> None:
@@ -59,27 +55,28 @@ def sweep(items: DataFrame, *, grid: Iterable[SketchParams] = (), projections: I
 
     for p in grid:
         sketch = build_sketch(items, p, engine="arrow")
+        sketch.cells = stored(sketch.cells, "sweep-cells")
         ys = decode.measure(sketch, queries, groups=min(groups, p.reps), hold_out="decrement_one")
         found = _recalls(decode.top_arrow(ys, items.select("id"), p, 20, exclude_own=True), truth)
-        setting = f"rows={p.rows},cols={p.cols},reps={p.reps},hashes={p.hashes},buckets={p.slots}"
         for kind in ("dense", "sparse"):
-            add(f"sketch_{kind}", setting, layout.sketch_bytes(sketch, kind).first().bytes, found)
+            add(f"sketch_{kind}", setting_of(p), layout.sketch_bytes(sketch, kind).first().bytes, found)
     wanted = sorted(projections)
     if wanted:
-        vectors = baselines.random_projection(items, wanted[-1]).cache()
+        vectors = stored(baselines.random_projection(items, wanted[-1], scaled=False), "sweep-projections")
         asked = vectors.join(queries.select("id"), "id", "left_semi")
         for m in wanted:
             top = baselines.projection_top(vectors, asked, 20, prefix=m)
             add("projections", f"m={m}", measures.projection_bytes(m, n), _recalls(top, truth))
-        vectors.unpersist()
     for f in fractions:
-        sample = baselines.sample_items(items, max(1, round(f * n)))
-        add("sampling", f"fraction={f}", measures.sample_bytes(sample).first().bytes, _recalls(baselines.sample_top(sample, queries, 20), truth))
-    for df in (queries, truth, items):
-        df.unpersist()
+        sample = baselines.sample_items(items, max(1, int(f * n + 0.5)))
+        add("sampling", f"fraction={f}", measures.sample_bytes(sample).first().bytes, _recalls(baselines.sample_top(sample, queries, 20, "euclidean"), truth))
     return spark.createDataFrame(points, POINT)
 
 
+def setting_of(p: SketchParams) -> str:
+    return f"rows={p.rows},cols={p.cols},reps={p.reps},hashes={p.hashes},buckets={p.slots}"
+
+
 def frontier(points: DataFrame) -> DataFrame:
     return measures.pareto(points, "bytes", "recall", ["method", "threshold"])
 

@@ -107,7 +107,7 @@ def _pairs(name: str, spark: SparkSession, sf_dir: str) -> DataFrame:
 TEXTS = {
     "doc_shingles": ("documents", lambda f: f.col("doc_id"), lambda f: f.col("text")),
     "page_tokens": ("pages", lambda f: f.col("page_id"), lambda f: visible_text(f.col("html"))),
-    "turn_shingles": ("conversations", lambda f: f.col("conv_id") * 100 + f.col("turn"), lambda f: f.col("text")),
+    "turn_shingles": ("conversations", lambda f: f.shiftleft(f.col("conv_id"), 20) + f.col("turn"), lambda f: f.col("text")),
     "benchmark_shingles": ("benchmark", lambda f: f.col("item_id"), lambda f: f.col("text")),
 }
 
@@ -158,3 +158,8 @@ def items(spark: SparkSession, sf_dir: str, name: str) -> DataFrame:
 
 def vectors(spark: SparkSession, sf_dir: str) -> DataFrame:
     return table(spark, sf_dir, "embeddings").select(F.col("vec_id").alias("id"), F.col("embedding").alias("elements"))
+
+
+def rounded_vectors(spark: SparkSession, sf_dir: str) -> DataFrame:
+    """The vectors in millionths, for exact integer sums."""
+    return vectors(spark, sf_dir).select("id", F.transform("elements", lambda x: F.round(x.cast("double") * 1_000_000).cast("long")).alias("elements"))

@@ -11,7 +11,9 @@ from pyspark.sql.streaming.state import GroupState, GroupStateTimeout
 
 from ..functions.params import SketchParams
 from ..operators.grid import touched
+from ..sources.store import rows_bounded
 
+BROADCAST_ROWS = 1_000_000
 EVENTS = "event_id long, ts timestamp_ntz, user_id long, event_type string, value double, props string"
 
 
@@ -25,6 +27,13 @@ def file_stream(spark: SparkSession, path: str, schema: str, *, pattern: str | N
     return reader.parquet(path)
 
 
+def rate_stream(spark: SparkSession, rows_per_second: int = 1000) -> DataFrame:
+    """``id, ts, elements``: an endless stream of synthetic items, for load tests."""
+    source = spark.readStream.format("rate").option("rowsPerSecond", rows_per_second).load()
+    parts = F.transform(F.sequence(F.lit(0), F.lit(4)), lambda i: F.pmod(F.xxhash64("value", i), F.lit(10_000)))
+    return source.select(F.col("value").alias("id"), F.col("timestamp").alias("ts"), F.array_distinct(parts).alias("elements"))
+
+
 def with_event_time(events: DataFrame, column: str = "ts") -> DataFrame:
     """The event time as a timestamp: watermarks don't take one without a zone."""
     return events.withColumn(column, F.col(column).cast("timestamp"))
@@ -86,14 +95,16 @@ def as_of(queries: DataFrame, snapshots: DataFrame, *, query_time: str = "at", s
     inside = both.withColumn("__last", F.last("__s", ignorenulls=True).over(Window.partitionBy("__bucket").orderBy("__t", "__kind")))
     buckets = inside.groupBy("__bucket").agg(F.max("__s").alias("m"))
     carried = buckets.withColumn("__before", F.max("m").over(Window.orderBy("__bucket").rowsBetween(Window.unboundedPreceding, -1))).select("__bucket", "__before")
-    return inside.where("__kind = 1").join(F.broadcast(carried), "__bucket").select("__q.*", F.coalesce("__last", "__before").alias("snapshot"))
+    carried = F.broadcast(carried) if not inside.isStreaming and rows_bounded(carried, BROADCAST_ROWS) else carried
+    return inside.where("__kind = 1").join(carried, "__bucket").select("__q.*", F.coalesce("__last", "__before").alias("snapshot"))
 
 
 def interval_sketch(daily: DataFrame, intervals: DataFrame) -> DataFrame:
     """``interval_id, cell, n``: the sum of the days from first to last, inclusive. Days
     are enumerated, so the join is by equality."""
     days = intervals.select("interval_id", F.explode(F.sequence("first", "last")).alias("day"))
-    return daily.join(F.broadcast(days), "day").groupBy("interval_id", "cell").agg(F.sum("n").alias("n"))
+    few = not daily.isStreaming and rows_bounded(days, BROADCAST_ROWS)
+    return daily.join(F.broadcast(days) if few else days, "day").groupBy("interval_id", "cell").agg(F.sum("n").alias("n"))
 
 
 def retracting_items(stream: DataFrame, *, key: str = "id", element: str = "element") -> DataFrame:
