@@ -262,3 +262,23 @@ def test_pipeline_against_brute_force(spark):
 
 def tokens(text):
     return [w for w in re.split(r"[\W_]+", (text or "").lower()) if w]
+
+
+def test_pipeline_stages_on_nulls_repeats_long_texts_and_clashing_names(spark):
+    import corpus_pipeline
+    from neighborsketch.llm.common import stored
+
+    good = " ".join(f"Word{i % 40} of the text goes on, number {i}." for i in range(60))
+    rows = [(1, good), (1, good), (2, good + " "), (3, None), (4, ""), (None, "some other text of a row without id"), (5, "long " * 50_000), (6, None)]
+    docs = spark.createDataFrame([(i, t, "en", "s", 0, 7, 8) for i, t in rows], "doc_id long, text string, lang string, source string, n_chars long, hit_id int, __keep int")
+    sf = "/root/testdata/sf0.001"
+    for given in (docs, docs.limit(0)):
+        at = given
+        for name, stage in corpus_pipeline.STAGES[1:]:
+            at = stored(stage(spark, at, sf), f"edge-{name}")
+            if name != "encode":
+                assert at.columns == docs.columns
+        ids = sorted((r.doc_id for r in at.collect()), key=lambda i: (i is None, i))
+        assert ids == ([2, 3, 5, None] if given is docs else [])
+    forest = quality.train(docs, spark.createDataFrame([], "doc_id long, quality int"))
+    assert quality.keep(docs, forest).count() == len(rows) and quality.keep(docs.limit(0), forest).count() == 0
