@@ -2,12 +2,13 @@
 
 from __future__ import annotations
 
-import tempfile
-import uuid
-
 from pyspark.sql import Column, DataFrame, SparkSession
 from pyspark.sql import functions as F
 
+from ..sources.store import shared_dir, stored
+
+__all__ = ["WS", "drop_stored", "free_name", "hash_share", "input_bytes", "join_hot", "row_salt", "salts_for", "shared_dir", "stored", "table", "whole"]
+
 #: The white space of every contract here: blank and U+0009 to U+000D.
 WS = " \t\n\x0b\x0c\r"
 
@@ -21,30 +22,6 @@ def whole(text: Column | str) -> Column:
     return F.coalesce((F.col(text) if isinstance(text, str) else text).cast("string"), F.lit(""))
 
 
-def shared_dir(spark: SparkSession) -> str:
-    """The folder that driver and executors share: ``spark.checkpoint.dir`` of
-    the session, or where that is unset and all runs on one machine, a new folder."""
-    at = spark.conf.get("spark.checkpoint.dir", None)
-    if at:
-        return at.rstrip("/")
-    known = spark.sparkContext.getCheckpointDir()
-    if known is None:
-        if not spark.sparkContext.master.startswith("local"):
-            raise ValueError("set spark.checkpoint.dir to a folder that the driver and all executors share")
-        spark.sparkContext.setCheckpointDir(tempfile.mkdtemp(prefix="shared-"))
-        known = spark.sparkContext.getCheckpointDir()
-    return known.rstrip("/")
-
-
-def stored(df: DataFrame, name: str) -> DataFrame:
-    """``df`` written once to the shared folder and read back: its lineage ends
-    here, so a lost executor costs no more than a reread."""
-    spark = df.sparkSession
-    path = f"{shared_dir(spark)}/{name}-{uuid.uuid4().hex}"
-    df.write.parquet(path)
-    return spark.read.schema(df.schema).parquet(path)
-
-
 def drop_stored(spark: SparkSession, df: DataFrame) -> None:
     """Deletes a table that ``stored`` made, once nothing reads it any more."""
     jvm = spark.sparkContext._jvm
