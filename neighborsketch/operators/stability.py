@@ -11,6 +11,7 @@ from pyspark.sql import functions as F
 from pyspark.sql import Window
 
 from ..functions import theory
+from . import scan
 from .exact import jaccard
 
 
@@ -30,12 +31,25 @@ def stability_stats(k: DataFrame, v: int, n_items: int) -> DataFrame:
         at(v).alias("p_v"), at(v + 1).alias("p_next"),
         F.sum(F.when(F.col("rank") > v, F.sqrt("p"))).alias("root_tail"), F.sum("p").alias("norm1"), F.sum(F.sqrt("p")).alias("norm_tilde"),
     )
+    return _described(stats, n_items)
+
+
+def _described(stats: DataFrame, n_items: int) -> DataFrame:
     gap = F.coalesce("p_next", F.lit(0.0)) / F.col("p_v")
     status = F.when(F.col("p_v").isNull(), "few_neighbors").when(F.col("p_next").isNull(), "empty_tail").when(gap >= 1, "unstable_tie").otherwise("ok")
     return stats.select(
         "qid", "p_v", "p_next", gap.alias("gap"), F.try_divide(F.col("root_tail"), F.sqrt("p_next")).alias("tail"), "norm1", "norm_tilde", status.alias("status"), F.lit(n_items).cast("long").alias("n_items"))
 
 
+def scanned_stats(items: DataFrame, queries: DataFrame, v: int, n_items: int) -> DataFrame:
+    """``stability_stats`` of the MinHash kernel, without a row a pair."""
+    parts = scan.scan(items, queries, scan.SUMS, scan.sums(v + 1), "kernel-stats")
+    each = parts.groupBy("qid").agg(F.reverse(F.array_sort(F.flatten(F.collect_list("best")))).alias("best"), F.sum("norm1").alias("norm1"), F.sum("norm_tilde").alias("norm_tilde"))
+    ahead = F.aggregate(F.slice("best", 1, v), F.lit(0.0), lambda s, p: s + F.sqrt(p))
+    stats = each.select("qid", F.get("best", F.lit(v - 1)).alias("p_v"), F.get("best", F.lit(v)).alias("p_next"), (F.col("norm_tilde") - ahead).alias("root_tail"), "norm1", "norm_tilde")
+    return _described(stats, n_items)
+
+
 def with_hashes(stats: DataFrame) -> DataFrame:
     """Adds ``hashes``: the number of hashes that makes the query's kernel sparse."""
     return stats.withColumn("hashes", F.when(F.col("status") == "empty_tail", 1).when(F.col("status") == "few_neighbors", F.lit(None)).otherwise(theory.choose_hashes_column(F.col("tail"), F.col("gap"))).cast("int"))
