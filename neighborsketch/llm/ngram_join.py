@@ -449,7 +449,8 @@ def _linked(texts: DataFrame, tasks: DataFrame, k: int, num: int, den: int) -> D
     if wanted.count() <= BROADCAST_IDS:
         wanted = F.broadcast(wanted)
     needed = texts.join(wanted, F.col("doc_id") == F.col("wanted"), "left_semi")
-    rows = needed.join(tasks, "doc_id").select("task", "side", "doc_id", "label", "text")
+    # never broadcast: a text has a row for each of its tasks, which Spark's estimate, made before the rows multiply, leaves out
+    rows = needed.join(tasks.hint("merge"), "doc_id").select("task", "side", "doc_id", "label", "text")
 
     def run(batches: Iterable[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         def solve(part: list[tuple]) -> pa.RecordBatch:

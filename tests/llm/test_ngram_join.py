@@ -99,3 +99,33 @@ def test_traversal_finds_all_pairs(monkeypatch):
             else:
                 nj.traverse(list(range(80)), None, sets, got, 9, 10)
             assert got.tolist() == want
+
+
+def broadcast_rows(df):
+    """The rows of each table that an executed plan broadcast."""
+    out, left = [], [df._jdf.queryExecution().executedPlan()]
+    while left:
+        plan = left.pop()
+        kind = plan.getClass().getSimpleName()
+        if kind == "BroadcastExchangeExec":
+            out.append(plan.metrics().apply("numOutputRows").value())
+        if kind == "AdaptiveSparkPlanExec":
+            left.append(plan.executedPlan())
+        elif kind.endswith("QueryStageExec"):
+            left.append(plan.plan())
+        else:
+            left += [plan.children().apply(i) for i in range(plan.children().size())]
+    return out
+
+
+def test_ids_of_many_tasks_are_broadcast_once(spark):
+    """A large neighbourhood's text stands in a task for each chunk; what the driver
+    holds to find the texts is an id each, not a row for each task."""
+    words = [f"w{i}" for i in range(40)]
+    texts = spark.createDataFrame([(i, " ".join([*words, f"v{i}"])) for i in range(20)], "doc_id long, text string")
+    ids = spark.range(20).withColumnRenamed("id", "doc_id")
+    tasks = ids.selectExpr("doc_id", "explode(sequence(0L, 49L)) as task", "cast(doc_id % 2 as int) as side", "doc_id as label")
+    found = nj._linked(texts, tasks, 3, 9, 10)
+    rows = found.collect()
+    assert {i for r in rows for i in (r.a, r.b)} == set(range(20))
+    assert broadcast_rows(found) == [20]
