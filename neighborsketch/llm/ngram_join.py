@@ -30,7 +30,9 @@ result is each text's connected component. No link between different sets is los
    round of chunks until one chunk is left. Where several components remain, all
    texts outside the largest are traversed against all texts of the neighbourhood,
    chunk by chunk, so every pair is compared or known to be connected. A group of
-   near copies costs a few rounds of linear size.
+   near copies costs a few rounds of linear size. The copies of texts that these
+   pairs of chunks need grow with the square of the neighbourhood, so they go out in
+   rounds of at most ``ROUND_SHARE`` of all texts' shingles, one after the other.
 
 Edge cases: null, empty and blank texts have empty sets and link with nothing;
 null ids link with nothing and have a null component; ids should be unique: rows
@@ -53,7 +55,8 @@ from pyspark.sql import functions as F
 from pyspark.sql import Window
 
 from .byte_bpe import _rows
-from .common import free_name, row_salt, stored, table
+from ..sources.store import settle
+from .common import drop_stored, free_name, row_salt, stored, table
 
 WORDS, NUM, DEN = 3, 9, 10
 CHUNK = 512
@@ -64,6 +67,7 @@ SALTS = 32
 LOCAL_REPEATS, REPEATS, COMMON_SHINGLES = 3, 8, 200_000
 CHUNK_SHINGLES = 1_500_000
 BROADCAST_IDS = 200_000
+ROUND_SHARE, ROUND_LEAST = 0.75, 20_000_000
 
 _MASK = (1 << 64) - 1
 _A, _B, _C = np.uint64(0xBF58476D1CE4E5B9), np.uint64(0x94D049BB133111EB), np.uint64(0x9E3779B97F4A7C15)
@@ -504,8 +508,8 @@ def _piece(seed: int) -> Column:
     return F.pmod(F.xxhash64("doc_id", F.lit(seed)), F.col("pieces")).cast("int")
 
 
-def _components(texts: DataFrame, ties: DataFrame, k: int, num: int, den: int) -> DataFrame:
-    """``doc_id, label`` of the texts that stand in some tie."""
+def _components(texts: DataFrame, sets: DataFrame, ties: DataFrame, k: int, num: int, den: int) -> DataFrame:
+    """``doc_id, label`` of the texts that stand in some tie. sets: doc_id, n."""
     hoods = stored(connected(ties).select("doc_id", F.col("label").alias("hood")), "hoods")
     members = stored(hoods.join(_sizes(hoods, CHUNK), "hood", "left").select("doc_id", "hood", _pieces(F.coalesce("size", F.lit(1))).alias("pieces")), "members")
     found, heads, turn = None, members, 0
@@ -534,10 +538,26 @@ def _components(texts: DataFrame, ties: DataFrame, k: int, num: int, den: int) -
     open_state = stored(state.join(_few(stored(main, "main-labels")), "hood"), "open-hoods")
     if open_state.isEmpty():
         return labels
-    outside = open_state.where("label != main").select("doc_id", "label", "hood", F.pmod(F.xxhash64("doc_id", F.lit(97)), F.col("outer")).cast("int").alias("o"), F.explode(F.sequence(F.lit(0), F.col("pieces") - 1)).alias("p"), F.lit(0).alias("side"))
-    inside = open_state.select("doc_id", "label", "hood", F.explode(F.sequence(F.lit(0), F.col("outer") - 1)).alias("o"), _piece(98).alias("p"), F.lit(1).alias("side"))
-    tasks = outside.unionByName(inside).select("doc_id", F.xxhash64("hood", "o", "p", F.lit(99)).alias("task"), "side", "label")
-    return connected(stored(found.unionByName(_linked(texts, tasks, k, num, den)), "links"))
+    drawn = lambda o, p: F.pmod(F.xxhash64("hood", o, p, F.lit(96)), F.lit(rounds)).cast("int")
+    copies = F.when(F.col("label") != F.col("main"), F.col("pieces")).otherwise(0) + F.col("outer")
+    shipped = open_state.join(sets.select("doc_id", "n").groupBy("doc_id").agg(F.max("n").alias("n")), "doc_id").agg(F.sum(copies * F.col("n")).alias("n")).first().n or 0
+    held = sets.agg(F.sum("n").alias("n")).first().n or 0
+    rounds = max(1, math.ceil(shipped / max(ROUND_LEAST, ROUND_SHARE * held)))
+    needed = texts
+    if rounds > 1:
+        ids = open_state.select(F.col("doc_id").alias("wanted")).distinct()
+        needed = stored(texts.join(_few(stored(ids, "open-ids")), F.col("doc_id") == F.col("wanted"), "left_semi"), "open-texts")
+    for turn in range(rounds):
+        outside = open_state.where("label != main").withColumn("o", F.pmod(F.xxhash64("doc_id", F.lit(97)), F.col("outer")).cast("int")).withColumn("p", F.explode(F.sequence(F.lit(0), F.col("pieces") - 1))).withColumn("side", F.lit(0))
+        inside = open_state.withColumn("p", _piece(98)).withColumn("o", F.explode(F.sequence(F.lit(0), F.col("outer") - 1))).withColumn("side", F.lit(1))
+        both = outside.unionByName(inside).where(drawn(F.col("o"), F.col("p")) == turn)
+        tasks = both.select("doc_id", F.xxhash64("hood", "o", "p", F.lit(99)).alias("task"), "side", "label")
+        found = stored(found.unionByName(_linked(needed, tasks, k, num, den)), "links")
+        if rounds > 1:
+            settle(texts.sparkSession)  # this round's copies go before the next are made
+    if rounds > 1:
+        drop_stored(texts.sparkSession, needed)
+    return connected(found)
 
 
 def components(docs: DataFrame, *, k: int = WORDS, num: int = NUM, den: int = DEN, id_col: str = "doc_id", text_col: str = "text") -> DataFrame:
@@ -564,7 +584,7 @@ def components(docs: DataFrame, *, k: int = WORDS, num: int = NUM, den: int = DE
     near = rows.withColumn("hub", hub).where("doc_id != hub").select(F.col("hub").alias("x"), F.col("doc_id").alias("y")).distinct()
     ties = near.join(heads.select(F.col("doc_id").alias("x"), F.col("head").alias("a")), "x").join(heads.select(F.col("doc_id").alias("y"), F.col("head").alias("b")), "y").select("a", "b").where("a != b")
     ties = stored(ties.distinct(), "ties")
-    labels = _components(texts, ties, k, num, den)
+    labels = _components(texts, sets, ties, k, num, den)
     named = stored(heads.join(labels.withColumnRenamed("doc_id", "head"), "head", "left").select("doc_id", F.coalesce("label", "head").alias("own")).distinct(), "set-names")
     # the texts of one id tie their components, unlike though they may be
     several = named.groupBy("doc_id").agg(F.min("own").alias("a"), F.max("own").alias("b")).where("a != b").select("doc_id", "a")

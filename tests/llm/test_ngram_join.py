@@ -129,3 +129,26 @@ def test_ids_of_many_tasks_are_broadcast_once(spark):
     rows = found.collect()
     assert {i for r in rows for i in (r.a, r.b)} == set(range(20))
     assert broadcast_rows(found) == [20]
+
+
+def test_copies_of_a_large_neighbourhood_go_out_in_rounds(spark, monkeypatch):
+    """The texts that the pairs of chunks of an unlinked neighbourhood need are shipped a
+    bounded share at a time, however often each is needed."""
+    monkeypatch.setattr(nj, "CHUNK", 6)
+    monkeypatch.setattr(nj, "ROUND_LEAST", 0, raising=False)
+    monkeypatch.setattr(nj, "ROUND_SHARE", 2, raising=False)
+    rng = random.Random(9)
+    base = [f"w{i}" for i in range(60)]
+    rows = [(i, " ".join(f"x{i}.{j}" if j in out else w for j, w in enumerate(base))) for i in range(90) for out in [set(rng.sample(range(60), 4))]]
+    rows += [(100 + i, rows[i][1] + " y") for i in range(0, 90, 9)]
+    shipped, linked = [], nj._linked
+
+    def counted(texts, tasks, *args):
+        shipped.append(tasks.count())
+        return linked(texts, tasks, *args)
+
+    monkeypatch.setattr(nj, "_linked", counted)
+    docs = spark.createDataFrame(rows, "doc_id long, text string").repartition(3)
+    assert sorted(map(tuple, nj.components(docs, k=3, num=4, den=5).collect())) == brute(rows, 3, 4, 5)
+    assert sum(shipped) > 10 * len(rows)  # one neighbourhood, all pairs of chunks
+    assert max(shipped) < 4 * len(rows)
